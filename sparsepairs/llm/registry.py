@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import license_scan, secret_scan
+from . import decision_list, license_scan, pairwise_quality, secret_scan, text_stats
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -44,8 +44,29 @@ def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op7_decision_list(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Statistics and verdict of the learned rules for all documents."""
+    docs = table(spark, sf_dir, "documents")
+    rules = decision_list.fit(docs, table(spark, sf_dir, "labels"))
+    return decision_list.apply(docs, rules).select(
+        "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept"
+    )
+
+
+def held_out() -> Column:
+    return F.coalesce(text_stats.fold() == 0, F.lit(False)).alias("held_out")
+
+
+def op9_pairwise_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairwise quality score of all documents."""
+    docs = table(spark, sf_dir, "documents")
+    scorer = pairwise_quality.fit(docs, table(spark, sf_dir, "labels"))
+    scored = pairwise_quality.score(docs.select("doc_id", "text"), scorer)
+    return scored.select("doc_id", held_out(), "score", (F.col("score") >= pairwise_quality.CUT).cast("int").alias("predicted"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_license_scan, op8_secret_scan)}
+    return {f.__name__: f for f in (op1_license_scan, op7_decision_list, op8_secret_scan, op9_pairwise_quality)}
 
 
 def oracle_sql() -> dict:
