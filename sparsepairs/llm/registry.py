@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decision_list, license_scan, pairwise_quality, secret_scan, text_stats
+from . import decision_list, license_scan, pairwise_quality, secret_scan, text_stats, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -65,8 +65,22 @@ def op9_pairwise_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out(), "score", (F.col("score") >= pairwise_quality.CUT).cast("int").alias("predicted"))
 
 
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Toxicity score of all documents; ``flagged`` uses the threshold of the language."""
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity.fit(docs, table(spark, sf_dir, "labels"))
+    scored = toxicity.score(docs.select("doc_id", "lang", "text"), model)
+    return scored.select(
+        "doc_id",
+        held_out(),
+        "score",
+        (F.col("score") >= 0.5).cast("int").alias("predicted"),
+        (F.col("score") >= toxicity.threshold(model)).alias("flagged"),
+    )
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_license_scan, op7_decision_list, op8_secret_scan, op9_pairwise_quality)}
+    return {f.__name__: f for f in (op1_license_scan, op6_toxicity, op7_decision_list, op8_secret_scan, op9_pairwise_quality)}
 
 
 def oracle_sql() -> dict:
