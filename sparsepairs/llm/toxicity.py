@@ -221,9 +221,11 @@ def train(docs: list[np.ndarray], labels: np.ndarray, langs: list[str | None] |
 
 def _calibrate(model: Model, docs: list[np.ndarray], y: np.ndarray, langs: list[str | None]) -> None:
     """Thresholds of fewest errors, by language where it has enough toxic rows."""
-    before = np.concatenate([[0], np.cumsum([len(d) for d in docs])]).astype(np.int64)
-    keys = np.concatenate(docs)
-    s = scores(model, keys, np.arange(len(keys), dtype=np.int32), before)
+    s = np.zeros(len(docs))
+    for a in range(0, len(docs), 64):
+        some = docs[a : a + 64]
+        before = np.concatenate([[0], np.cumsum([len(d) for d in some])]).astype(np.int64)
+        s[a : a + 64] = scores(model, np.concatenate(some), np.arange(before[-1], dtype=np.int32), before)
 
     def best(own: np.ndarray) -> float:
         grid = np.linspace(0.2, 0.8, 25)
