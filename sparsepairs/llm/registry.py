@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decision_list, license_scan, pairwise_quality, secret_scan, text_stats, toxicity
+from . import decision_list, license_scan, packing, pairwise_quality, secret_scan, shared, text_stats, token_rollup, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -65,6 +65,22 @@ def op9_pairwise_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out(), "score", (F.col("score") >= pairwise_quality.CUT).cast("int").alias("predicted"))
 
 
+def op5_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Totals after five batches: all documents are inserted, all are revised to count the end token,
+    fold 0 is deleted and inserted again, and the first batch is delivered a second time."""
+    counts = shared.written(token_rollup.token_counts(table(spark, sf_dir, "documents")), "token-counts")
+    counts = counts.withColumn("tokenizer", F.lit("byte_bpe_50k"))
+    longer = counts.withColumn("n_tokens", F.col("n_tokens") + 1)
+    rollup = token_rollup.TokenRollup(spark, shared.fresh(spark, "token-rollup"))
+    again = longer.where(text_stats.fold() == 0)
+    rollup.commit("1-load", counts.withColumn("op", F.lit("insert")))
+    rollup.commit("2-end-token", longer.withColumn("op", F.lit("revise")))
+    rollup.commit("3-withdrawn", again.withColumn("op", F.lit("delete")))
+    rollup.commit("4-restored", again.withColumn("op", F.lit("insert")))
+    rollup.commit("1-load", counts.withColumn("op", F.lit("insert")))
+    return rollup.totals()
+
+
 def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Toxicity score of all documents; ``flagged`` uses the threshold of the language."""
     docs = table(spark, sf_dir, "documents")
@@ -79,8 +95,14 @@ def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents packed into sequences of 1024 tokens."""
+    return packing.pack_documents(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_license_scan, op6_toxicity, op7_decision_list, op8_secret_scan, op9_pairwise_quality)}
+    found = (op1_license_scan, op5_token_rollup, op6_toxicity, op7_decision_list, op8_secret_scan, op9_pairwise_quality, op10_packing)
+    return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict:
