@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decision_list, license_scan, packing, pairwise_quality, secret_scan, shared, text_stats, token_rollup, toxicity
+from . import decision_list, knn_join, license_scan, packing, pairwise_quality, secret_scan, shared, text_stats, token_rollup, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -65,6 +65,30 @@ def op9_pairwise_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out(), "score", (F.col("score") >= pairwise_quality.CUT).cast("int").alias("predicted"))
 
 
+def op3_knn_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The five largest inner products of every 50th vector."""
+    return knn_join.knn_join(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 50 == 0, 5)
+
+
+OP3_SQL = """
+with v as (
+    select vec_id, list_transform(embedding, lambda e: cast(floor(256 * cast(e as double)) as bigint)) as x
+    from embeddings
+    where vec_id is not null and embedding is not null
+      and list_count(embedding) = len(embedding)
+      and len(list_filter(embedding, lambda e: not isfinite(e))) = 0
+),
+s as (
+    select q.vec_id as query_id, c.vec_id,
+           cast(list_sum(list_transform(list_zip(q.x, c.x), lambda p: p[1] * p[2])) as bigint) as score
+    from v q join v c on c.vec_id <> q.vec_id
+    where q.vec_id % 50 = 0
+),
+r as (select *, cast(row_number() over (partition by query_id order by score desc, vec_id) as integer) as rank from s)
+select query_id, rank, vec_id, score from r where rank <= 5
+"""
+
+
 def op5_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Totals after five batches: all documents are inserted, all are revised to count the end token,
     fold 0 is deleted and inserted again, and the first batch is delivered a second time."""
@@ -101,9 +125,9 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    found = (op1_license_scan, op5_token_rollup, op6_toxicity, op7_decision_list, op8_secret_scan, op9_pairwise_quality, op10_packing)
+    found = (op1_license_scan, op3_knn_join, op5_token_rollup, op6_toxicity, op7_decision_list, op8_secret_scan, op9_pairwise_quality, op10_packing)
     return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict:
-    return {}
+    return {"op3_knn_join": OP3_SQL}
