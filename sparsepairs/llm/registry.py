@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decision_list, knn_join, license_scan, packing, pairwise_quality, secret_scan, shared, text_stats, token_rollup, toxicity
+from . import decision_list, knn_join, license_scan, near_duplicates, packing, pairwise_quality, secret_scan, shared, text_stats, token_rollup, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -89,6 +89,11 @@ select query_id, rank, vec_id, score from r where rank <= 5
 """
 
 
+def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Class and links of every document at a similarity of 0.8 over five-word shingles."""
+    return near_duplicates.classes(table(spark, sf_dir, "documents"))
+
+
 def op5_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Totals after five batches: all documents are inserted, all are revised to count the end token,
     fold 0 is deleted and inserted again, and the first batch is delivered a second time."""
@@ -125,7 +130,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    found = (op1_license_scan, op3_knn_join, op5_token_rollup, op6_toxicity, op7_decision_list, op8_secret_scan, op9_pairwise_quality, op10_packing)
+    found = (op1_license_scan, op3_knn_join, op4_jaccard_join, op5_token_rollup, op6_toxicity, op7_decision_list, op8_secret_scan, op9_pairwise_quality, op10_packing)
     return {f.__name__: f for f in found}
 
 
