@@ -45,7 +45,7 @@ def with_stats(docs: DataFrame, text: str = "text") -> DataFrame:
     pairs = F.transform(windows, lambda h, i: F.struct(h.alias("h"), i.alias("i")))
     some = F.size(F.array_distinct(windows)) < F.size(windows)
     out = out.withColumn(ranked, F.when(some, F.sort_array(pairs)))
-    out = out.withColumns(
+    counts = (
         {
             "n_words": F.size(words).cast("long"),
             "word_chars": F.length(F.array_join(words, "")).cast("long"),
@@ -58,7 +58,11 @@ def with_stats(docs: DataFrame, text: str = "text") -> DataFrame:
             "n_bars": F.regexp_count(whole, F.lit("\\|")).cast("long"),
         }
     )
-    return out.drop(whole, words, lines, windows, ranked)
+    # Filters over the counts stop at the generator; pushed below it they would compute every count again for each use.
+    once = F.explode(F.array(F.struct(*[c.alias(k) for k, c in counts.items()]))).alias(_P + "counts")
+    kept = [c for c in docs.columns if c not in counts]
+    out = out.select(*[F.col(f"`{c}`") for c in kept], once)
+    return out.select(*[F.col(f"`{c}`") for c in kept], *[F.col(_P + "counts")[k].alias(k) for k in counts])
 
 
 def features() -> dict[str, Column]:
