@@ -40,6 +40,8 @@ COORDINATES = 128
 RECALL = 0.99999
 #: Sets of a bucket that is compared without more splitting, and levels of splitting.
 BUCKET, LEVELS = 256, 4
+#: Sets of one side of a comparison of samples.
+COMPARED = 2_048
 #: Shingles and sets of one side of an exact comparison.
 BLOCK_SHINGLES, BLOCK_SETS = 400_000, 1_024
 #: Standard deviations below the similarity at which a sampled agreement still counts.
@@ -52,6 +54,7 @@ _CHAIN = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0
 
 SETS = fields(doc_id=pa.int64(), name=pa.int64(), n=pa.int64(), sample=pa.binary())
 NODES = fields(node=pa.int64(), name=pa.int64())
+CHILDREN = fields(parent=pa.int64(), node=pa.int64(), name=pa.int64())
 EDGES = fields(a=pa.int64(), b=pa.int64())
 WHOLE = fields(component=pa.int64(), name=pa.int64(), copies=pa.int64(), shingles=pa.binary())
 LINKED = fields(name=pa.int64(), root=pa.int64(), links=pa.int64())
@@ -147,7 +150,7 @@ def _next_level(similarity: float, level: int, recall: float = RECALL):
             for t in range(many):
                 i = (mix(parent + np.uint64(7_919 * (t + 1) + level)) % np.uint64(COORDINATES)).astype(np.int64)
                 node = mix(parent ^ mix(sample[np.arange(len(i)), i].astype(np.uint64) + ((i + 1).astype(np.uint64) << np.uint64(40))))
-                yield pa.RecordBatch.from_arrays([pa.array(node.view(np.int64)), batch.column("name")], schema=NODES)
+                yield pa.RecordBatch.from_arrays([batch.column("node"), pa.array(node.view(np.int64)), batch.column("name")], schema=CHILDREN)
 
     return run
 
@@ -225,31 +228,45 @@ def _compare(similarity: float):
     return run
 
 
+def _sized(nodes: DataFrame, keys: list[str]) -> DataFrame:
+    """Buckets of two or more with their size; of buckets with the same members one is kept."""
+    members = (F.bit_xor(F.xxhash64("name")).alias("x"), F.bit_xor(F.xxhash64("name", F.lit(1))).alias("y"))
+    sizes = nodes.groupBy(*keys).agg(F.count("*").alias("size"), *members).where("size > 1")
+    return sizes.groupBy("size", "x", "y").agg(F.min(F.struct(*keys)).alias("k")).select("k.*", "size")
+
+
 def candidates(sets: DataFrame, similarity: float = SIMILARITY, recall: float = RECALL) -> DataFrame:
-    """(a, b): stars of sets that the chosen-path join brings together; ``sets`` has name and sample, names differ."""
-    nodes = sets.select("name", "sample").mapInArrow(_first_level(runs_for(similarity, recall)), spark_schema(NODES))
-    done: DataFrame | None = None
-    for level in range(LEVELS):
-        nodes = shared.written(nodes, "nodes")
-        x = F.xxhash64("name")
-        sizes = nodes.groupBy("node").agg(F.count("*").alias("size"), F.bit_xor(x).alias("x"), F.bit_xor(F.xxhash64("name", F.lit(1))).alias("y"))
-        # Buckets of the same members are compared once.
-        sizes = sizes.where("size > 1").groupBy("size", "x", "y").agg(F.min("node").alias("node"))
-        last = level == LEVELS - 1
-        member = nodes.join(sizes.select("node", "size"), "node")
-        ended = member if last else member.where(F.col("size") <= BUCKET)
-        done = ended if done is None else done.unionByName(ended)
-        if last:
-            break
-        large = shared.written(member.where(F.col("size") > BUCKET).select("node", "name"), "large")
+    """(a, b): stars of sets that the chosen-path join brings together; ``sets`` has name and sample, names differ.
+
+    A bucket whose largest child still has half of its sets holds near copies
+    of each other: splitting won't part them, so it is compared as it is.
+    """
+    samples = sets.select("name", "sample")
+    nodes = shared.written(samples.mapInArrow(_first_level(runs_for(similarity, recall)), spark_schema(NODES)), "nodes")
+    member = nodes.join(_sized(nodes, ["node"]), "node").select("node", "name", "size")
+    done = member.where(F.col("size") <= BUCKET)
+    large = shared.written(member.where(F.col("size") > BUCKET), "large")
+    for level in range(1, LEVELS + 1):
         if not large.limit(1).collect():
             break
-        nodes = large.join(sets.select("name", "sample"), "name").select("node", "name", "sample").mapInArrow(_next_level(similarity, level), spark_schema(NODES))
-    blocks = F.ceil(F.col("size") / (2 * BUCKET)).cast("int")
+        if level == LEVELS:
+            done = done.unionByName(large)
+            break
+        children = large.join(samples, "name").select("node", "name", "sample").mapInArrow(_next_level(similarity, level, recall), spark_schema(CHILDREN))
+        children = shared.written(children, "children")
+        own = children.groupBy("parent", "node").agg(F.count("*").alias("n")).groupBy("parent").agg(F.max("n").alias("top"))
+        judged = large.groupBy("node").agg(F.max("size").alias("whole")).join(own.withColumnRenamed("parent", "node"), "node")
+        stuck = judged.where(2 * F.col("top") >= F.col("whole")).select("node")
+        done = done.unionByName(large.join(stuck, "node", "left_semi").select("node", "name", "size"))
+        moving = children.join(stuck.withColumnRenamed("node", "parent"), "parent", "left_anti").select("node", "name")
+        member = moving.join(_sized(moving, ["node"]), "node").select("node", "name", "size")
+        done = done.unionByName(member.where(F.col("size") <= BUCKET))
+        large = shared.written(member.where(F.col("size") > BUCKET), "large")
+    blocks = F.ceil(F.col("size") / COMPARED).cast("int")
     placed = done.select("node", "name", F.pmod(F.xxhash64("name", F.lit(2)), blocks).cast("int").alias("side"), F.explode(F.sequence(F.lit(0), blocks - 1)).alias("other"))
     placed = placed.select("node", "name", "side", F.least("side", "other").alias("low"), F.greatest("side", "other").alias("high"))
     # One byte of each coordinate is enough to compare samples.
-    thin = sets.select("name", "sample").mapInArrow(_low_bytes, spark_schema(BYTES))
+    thin = samples.mapInArrow(_low_bytes, spark_schema(BYTES))
     joined = placed.join(thin, "name")
     dealt = joined.repartition("node", "low", "high").sortWithinPartitions("node", "low", "high", "name")
     return dealt.mapInArrow(_compare(similarity), spark_schema(EDGES))
