@@ -76,12 +76,12 @@ class SketchStore:
 
     def get(self, relation: str, role: str, seed: str, p: float) -> DataFrame:
         names = ("lk", "jk") if role == "lk" else ("jk", "rk")
-        found = self.spark.read.parquet(self.path).where((F.col("relation") == relation) & (F.col("role") == role) & (F.col("seed") == seed) & (F.col("p").cast("double") == p))
+        found = self.spark.read.option("mergeSchema", "true").parquet(self.path).where((F.col("relation") == relation) & (F.col("role") == role) & (F.col("seed") == seed) & (F.col("p").cast("double") == p))
         return found.select(*names)
 
     def list(self) -> DataFrame:
         """relation, role, seed, p and the tuples kept."""
-        return self.spark.read.parquet(self.path).groupBy("relation", "role", F.col("seed").cast("string").alias("seed"), F.col("p").cast("double").alias("p")).agg(F.count("*").alias("n_kept"))
+        return self.spark.read.option("mergeSchema", "true").parquet(self.path).groupBy("relation", "role", F.col("seed").cast("string").alias("seed"), F.col("p").cast("double").alias("p")).agg(F.count("*").alias("n_kept"))
 
 
 def thin(sketch: DataFrame, role: str, p_new: float, seed: str, family: str = "mix63") -> DataFrame:
