@@ -42,7 +42,7 @@ MODEL = "piece_bpe_32k.model"
 SAMPLES = 3
 #: The space mark of pieces, and bits of a code point.
 MARK, BITS = 0x2581, 21
-SLICE = 2_000_000
+SLICE = 3_000_000
 
 SAMPLED = fields(
     doc_id=pa.int64(), rank=pa.int32(), ids=pa.list_(pa.int32()), n_pieces=pa.int64(), ids_crc32=pa.int64(),
@@ -79,6 +79,10 @@ class Vocabulary:
             ends[at] = i
         keys = np.array([(a << BITS) | c for a, c in nodes], np.int64)
         order = np.argsort(keys)
+        self.root = np.full(1 << BITS, -1, np.int32)
+        for (a, c), node in nodes.items():
+            if a == 0:
+                self.root[c] = node
         self.keys, self.child, self.ends = keys[order], np.array(list(nodes.values()))[order], np.array(ends)
         self.raw = [bytes([int(p[1:-1], 16)]) if model.is_byte(i) else p.replace(chr(MARK), " ").encode() for i, p in enumerate(self.pieces)]
 
@@ -125,10 +129,15 @@ class Lattices:
         alone = np.zeros(len(self.points), bool)
         step = 0
         while len(at):
-            key = (node << BITS) | self.points[at + step]
-            where = np.minimum(np.searchsorted(vocab.keys, key), len(vocab.keys) - 1)
-            ok = (vocab.keys[where] == key) & ~self.is_end[at + step]
-            at, node = at[ok], vocab.child[where[ok]]
+            if step == 0:
+                node = vocab.root[self.points[at]].astype(np.int64)
+                ok = node >= 0
+                at, node = at[ok], node[ok]
+            else:
+                key = (node << BITS) | self.points[at + step]
+                where = np.minimum(np.searchsorted(vocab.keys, key), len(vocab.keys) - 1)
+                ok = (vocab.keys[where] == key) & ~self.is_end[at + step]
+                at, node = at[ok], vocab.child[where[ok]]
             step += 1
             whole = vocab.ends[node] >= 0
             first.append(at[whole])
@@ -163,11 +172,22 @@ class Lattices:
             self.total[start[heads]] = np.logaddexp.reduceat(self.score[own] + self.total[self.past[own]], heads)
         self.log_p = np.minimum(self.score + self.total[self.past] - self.total[self.first], 0.0)
         # The likeliest piece of a place comes first, so a draw rarely looks further.
-        order = np.argsort(self.first - 0.5 * np.exp(self.log_p), kind="stable")
-        for name in ("first", "past", "piece", "score", "log_p"):
-            setattr(self, name, getattr(self, name)[order])
-        self.edges_of = np.searchsorted(self.first, np.arange(len(self.points) + 1))
-        sums = np.concatenate([[0.0], np.cumsum(np.exp(self.log_p))])
+        counts = np.bincount(self.first, minlength=len(self.points))
+        self.edges_of = np.concatenate([[0], np.cumsum(counts)])
+        heads = self.edges_of[:-1][counts > 0]
+        if len(heads):
+            own = np.repeat(np.arange(len(heads)), counts[counts > 0])
+            best = np.flatnonzero(self.log_p == np.maximum.reduceat(self.log_p, heads)[own])[::-1]
+            likeliest = np.empty(len(heads), np.int64)
+            likeliest[own[best]] = best
+            for name in ("past", "piece", "log_p"):
+                values = getattr(self, name)
+                values[heads], values[likeliest] = values[likeliest], values[heads]
+        # What is left of a place's chance without the edge, for the sets that branch off.
+        with np.errstate(divide="ignore"):
+            p = np.exp(self.log_p)
+            self.log_rest = np.where(p < 1 - 1e-12, np.log1p(-np.minimum(p, 1 - 1e-16)), -np.inf)
+        sums = np.concatenate([[0.0], np.cumsum(p)])
         low, high = self.edges_of[self.first], self.edges_of[self.first + 1]
         self.ladder = (sums[1:] - sums[low]) / (sums[high] - sums[low])
         self.ladder[self.edges_of[1:][np.diff(self.edges_of) > 0] - 1] = 1.0
@@ -227,16 +247,14 @@ class Path:
         self.sets = np.full(len(edges), -np.inf)
         own = np.arange(branch, len(edges))
         if len(own):
-            gone = np.minimum(np.exp(self.log_p[own]), 1.0)
-            self.sets[own] = self._below(own, gone, key, 0)
+            self.sets[own] = self._below(own, lattices.log_rest[edges[branch:]], key, 0)
 
-    def _below(self, place: np.ndarray, gone: np.ndarray, limit: float, turn: int) -> np.ndarray:
-        """Keys of the sets at ``place``, of which a share ``gone`` is out, below ``limit``."""
-        with np.errstate(divide="ignore"):
-            mass = np.where(gone < 1 - 1e-12, self.before[place] + np.log1p(-np.minimum(gone, 1 - 1e-16)), -np.inf)
+    def _below(self, place: np.ndarray, log_rest: np.ndarray, limit: float, turn: int) -> np.ndarray:
+        """Keys below ``limit`` of the sets at ``place``, which hold a log share ``log_rest`` of what reaches the place."""
+        mass = self.before[place] + log_rest
         u = uniform(self.seed ^ mix(place.astype(np.uint64) * np.uint64(64) + np.uint64(2 * turn + 1)))
-        gumbel = mass - np.log(-np.log(u))
-        return np.where(np.isfinite(mass), -np.logaddexp(-limit, -gumbel), -np.inf)
+        # A Gumbel variate of location ``mass`` cut off at the limit; an empty set stays at minus infinity.
+        return -np.logaddexp(-limit, np.log(-np.log(u)) - mass)
 
     def ban(self, place: int, lattices: Lattices, edge: int, limit: float) -> None:
         """Takes ``edge`` out of the set at ``place`` and draws the rest's key."""
@@ -244,9 +262,8 @@ class Path:
         out.append(edge)
         gone = float(np.exp(lattices.log_p[out]).sum())
         left = lattices.edges_of[lattices.first[edge] + 1] - lattices.edges_of[lattices.first[edge]]
-        if left == len(out):
-            gone = 1.0
-        self.sets[place] = self._below(np.array([place]), np.array([gone]), limit, len(out))[0]
+        rest = -np.inf if left == len(out) or gone >= 1 - 1e-12 else float(np.log1p(-gone))
+        self.sets[place] = self._below(np.array([place]), np.array([rest]), limit, len(out))[0]
 
 
 def sample_batch(texts: list[str], row_keys: np.ndarray, vocab: Vocabulary, k: int) -> list[tuple[list[Path], float, float]]:
@@ -259,7 +276,10 @@ def sample_batch(texts: list[str], row_keys: np.ndarray, vocab: Vocabulary, k: i
     lengths = np.diff(np.concatenate([starts, [len(points)]]))
     if len(starts):
         inside = np.arange(len(points)) - np.repeat(starts, lengths)
-        hashes = np.add.reduceat(mix(points.astype(np.uint64) | (inside.astype(np.uint64) << np.uint64(BITS))), starts)
+        letters = (points.astype(np.uint64) | (inside.astype(np.uint64) << np.uint64(BITS))) * np.uint64(0x9E3779B97F4A7C15)
+        letters ^= letters >> np.uint64(29)
+        letters *= np.uint64(0xD6E8FEB86659FD93)
+        hashes = np.add.reduceat(letters ^ (letters >> np.uint64(32)), starts)
         _, example, kind = np.unique(hashes, return_index=True, return_inverse=True)
     else:
         example = kind = np.zeros(0, np.int64)
@@ -343,17 +363,19 @@ def piece_ids(path: Path, lattices: Lattices, vocab: Vocabulary) -> np.ndarray:
 def _sampler(k: int, seed: int, keep_ids: bool, path: str | None, temperature: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocab = vocabulary(path, temperature)
+        raw_of = vocab.raw.__getitem__
         for batch in sliced(batches, "text", SLICE):
             texts = [t or "" for t in batch.column("text").to_pylist()]
             ids = batch.column("doc_id").to_pylist()
             keys = mix(np.array([(i or 0) & (2**64 - 1) for i in ids], np.uint64) ^ mix(np.array([seed], np.uint64))[0])
             out: list[list] = [[] for _ in SAMPLED.names]
             for doc_id, text, (paths, after, lattices) in zip(ids, texts, sample_batch(texts, keys, vocab, k), strict=True):
+                plain = b" " + text.encode("utf-8", "surrogatepass") if text else b""
                 for rank, p in enumerate(paths, 1):
                     pieces = piece_ids(p, lattices, vocab)
                     log_prob = float(p.before[-1])
                     inclusion = 1.0 if after == -np.inf else float(-np.expm1(-np.exp(min(log_prob - after, 50.0))))
-                    row = (doc_id, rank, pieces.tolist() if keep_ids else None, len(pieces), zlib.crc32(pieces.tobytes()), log_prob, p.key, inclusion, vocab.decode(pieces.tolist()) == text)
+                    row = (doc_id, rank, pieces.tolist() if keep_ids else None, len(pieces), zlib.crc32(pieces.tobytes()), log_prob, p.key, inclusion, b"".join(map(raw_of, pieces.tolist())) == plain)
                     for column, value in zip(out, row, strict=True):
                         column.append(value)
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, SAMPLED.types, strict=True)], schema=SAMPLED)
