@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import methods, registry  # noqa: F401
+from . import methods, registry, relational  # noqa: F401
 
 
 def load():
