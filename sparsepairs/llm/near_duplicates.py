@@ -23,8 +23,6 @@ rows.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from math import ceil, log
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -35,6 +33,8 @@ from .batches import fields, mix, row_of, sliced, spark_schema, text_bytes, word
 from .components import components
 
 WORDS = 5
+#: 32-bit words of the bitmap that spares most texts a shuffle: at most 2 MB.
+FILTER_WORDS = 1 << 17
 SIMILARITY = 0.8
 COORDINATES = 128
 RECALL = 0.99999
@@ -139,9 +139,21 @@ def _first_level(chosen: list[int]):
     return run
 
 
+def fan_out(similarity: float, recall: float) -> int:
+    """Coordinates that a large bucket tries, so that a pair which is parted in one bucket meets in another.
+
+    A pair misses if in each root bucket it is apart from the start or on one
+    of the levels below.
+    """
+    many, roots = 1, len(runs_for(similarity, recall))
+    while (1 - similarity * (1 - (1 - similarity) ** many) ** LEVELS) ** roots > 1 - recall:
+        many += 1
+    return many
+
+
 def _next_level(similarity: float, level: int, recall: float = RECALL):
-    """Children of large buckets.  A node tries its coordinates in an order of its own and takes as many as the recall asks for."""
-    many = ceil(log(1 - recall) / log(1 - similarity))
+    """Children of large buckets; a node's own hash picks its coordinates."""
+    many = fan_out(similarity, recall)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -347,6 +359,20 @@ def _exact(numerator: int, denominator: int):
     return run
 
 
+def _likely(rows: DataFrame, held: DataFrame, key: str) -> DataFrame:
+    """Rows whose key's bit is set in a bitmap of the held keys: most others needn't be shuffled.
+
+    The bitmap has ``FILTER_WORDS`` words whatever the data's size; a full one
+    lets all rows pass, and the join that follows decides.
+    """
+    at = F.pmod(F.xxhash64(F.lit("filter"), F.col(key)), F.lit(FILTER_WORDS * 32))
+    word = F.shiftright(at, 5)
+    bit = F.pow(F.lit(2.0), F.pmod(at, F.lit(32))).cast("long")
+    bitmap = held.groupBy(word.alias("__word")).agg(F.bit_or(bit).alias("__bits"))
+    out = rows.withColumn("__word", word).withColumn("__bit", bit).join(F.broadcast(bitmap), "__word")
+    return out.where(F.col("__bits").bitwiseAND(F.col("__bit")) != 0).select(*rows.columns)
+
+
 def classes(docs: DataFrame, similarity: tuple[int, int] = (4, 5), recall: float = RECALL) -> DataFrame:
     """doc_id, class_id (smallest id of the class) and n_links of every document.
 
@@ -363,7 +389,8 @@ def classes(docs: DataFrame, similarity: tuple[int, int] = (4, 5), recall: float
     held = shared.written(held.select(F.col("id").alias("name"), "component", "first", "copies", "n"), "held")
     weights = held.groupBy("component").agg(F.sum("n").alias("weight"), F.count("*").alias("size"))
     parts = F.greatest(F.ceil(F.col("weight") / BLOCK_SHINGLES), F.ceil(F.col("size") / BLOCK_SETS)).cast("int")
-    texts = docs.select(F.col("doc_id").cast("long").alias("first"), "text").join(held.select("first", "component", "name", "copies"), "first")
+    whole_texts = _likely(docs.select(F.col("doc_id").cast("long").alias("first"), "text"), held, "first")
+    texts = whole_texts.join(held.select("first", "component", "name", "copies"), "first")
     whole = texts.mapInArrow(_whole, spark_schema(WHOLE)).join(weights.select("component", parts.alias("parts")), "component")
     side = F.pmod(F.xxhash64("name", F.lit(3)), F.col("parts")).cast("int")
     placed = whole.withColumn("side", side).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
