@@ -35,7 +35,7 @@ SLACK = 1e-9
 #: Distances to the pivot that a chunk's summary holds; k must stay below.
 NEAREST = 64
 
-CHUNKS = fields(cell=pa.int32(), salt=pa.int64(), n=pa.int64(), far=pa.float64(), near=pa.float64(), nearest=pa.list_(pa.float64()), ids=pa.binary(), vectors=pa.binary())
+CHUNKS = fields(cell=pa.int32(), salt=pa.int64(), n=pa.int64(), far=pa.float64(), near=pa.float64(), nearest=pa.list_(pa.struct([("d", pa.float64()), ("id", pa.int64())])), ids=pa.binary(), vectors=pa.binary())
 BLOCKS = fields(cells=pa.list_(pa.int32()), query_ids=pa.binary(), queries=pa.binary())
 HITS = fields(query_id=pa.int64(), vec_id=pa.int64(), score=pa.int64())
 
@@ -95,10 +95,12 @@ def _chunker(space: Space):
             rows = []
             for c in np.unique(cell):
                 own = np.flatnonzero(cell == c)
-                near = np.sort(d[own, c])
+                order = np.argsort(d[own, c], kind="stable")
+                near = d[own, c][order]
+                closest = [{"d": float(x), "id": int(i)} for x, i in zip(near[:NEAREST], ids[own][order[:NEAREST]], strict=True)]
                 raw = _packed(x[own])
                 wide = len(raw) > 4 * x.shape[1] * len(own)
-                rows.append((int(c), int(ids[own[0]]), len(own), float(near[-1]), float(near[0]), near[:NEAREST].tolist(), ids[own].astype("<i8").tobytes(), bytes([wide]) + raw))
+                rows.append((int(c), int(ids[own[0]]), len(own), float(near[-1]), float(near[0]), closest, ids[own].astype("<i8").tobytes(), bytes([wide]) + raw))
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), CHUNKS.types, strict=True)], schema=CHUNKS)
 
     return run
@@ -189,11 +191,15 @@ def knn_join(vectors: DataFrame, is_query: Column, k: int = 5, pivots: int = PIV
     space = Space(np.array([r["x"] for r in picked], np.int64), most[0]["square"])
     chunks = shared.written(own.mapInArrow(_chunker(space), spark_schema(CHUNKS)), "knn-chunks")
     groups = {r["cell"]: r for r in chunks.groupBy("cell").agg(F.sum("n").alias("n"), F.max("far").alias("far"), F.min("near").alias("near")).collect()}
-    # At most k + 1 distances for each pivot are gathered.
-    ranked = chunks.select("cell", F.explode(F.slice("nearest", 1, k + 1)).alias("d")).withColumn("i", F.row_number().over(Window.partitionBy("cell").orderBy("d")))
+    # At most k + 1 distances for each pivot are gathered, and none counts for two rows of one id.
+    close = chunks.select("cell", F.explode("nearest").alias("x")).groupBy("cell", F.col("x.id").alias("id")).agg(F.min("x.d").alias("d"))
+    ranked = close.withColumn("i", F.row_number().over(Window.partitionBy("cell").orderBy("d", "id")))
     nearest: list[list[float]] = [[] for _ in picked]
-    for r in ranked.where(F.col("i") <= k + 1).collect():
-        nearest[r["cell"]].append(r["d"])
+    seen: set[int] = set()
+    for r in sorted(ranked.where(F.col("i") <= k + 1).collect(), key=lambda r: (r["d"], r["id"])):
+        if r["id"] not in seen:
+            seen.add(r["id"])
+            nearest[r["cell"]].append(r["d"])
     far = np.array([groups[c]["far"] if c in groups else 0.0 for c in range(len(picked))])
     near = np.array([groups[c]["near"] if c in groups else 0.0 for c in range(len(picked))])
     blocks = own.where(is_query).mapInArrow(_planner(space, far, near, nearest, k), spark_schema(BLOCKS))

@@ -165,7 +165,7 @@ class Lattices:
         far = left[self.first]
         order = np.argsort(far.astype(np.int16) if far.max(initial=0) < 2**15 else far, kind="stable")
         cuts = np.searchsorted(far[order], np.unique(far))
-        for a, b in zip(cuts, [*cuts[1:], len(order)], strict=True):
+        for a, b in zip(cuts, np.append(cuts[1:], len(order)), strict=False):
             own = order[a:b]
             start = self.first[own]
             heads = np.flatnonzero(np.concatenate([[True], start[1:] != start[:-1]]))
