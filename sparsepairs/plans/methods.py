@@ -70,6 +70,9 @@ for k in (256, 1024):
     register(f"m_estimate_k{k}", _estimate("part_part_order", k=k), O.estimate("part_part_order", k))
     register(f"m_estimate_k{k}_cust", _estimate("cust_cust_part", k=k), O.estimate("cust_cust_part", k))
 
+for key, name in (("m_estimate_doc_doc", "doc_doc_word"), ("m_estimate_word_word", "word_word_doc")):
+    register(key, _estimate(name), O.estimate(name))
+
 # ---- method 1 ------------------------------------------------------------------------
 
 
