@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import methods, registry, relational, streams  # noqa: F401
+from . import methods, registry, relational, streams, whole  # noqa: F401
 
 
 def load():
