@@ -2,9 +2,9 @@
 
 Fuzzy search: a notice of length m with at most e edits is cut into e + 1
 parts.  One of them must stand in the text unchanged (pigeonhole), so an
-Aho-Corasick pass over those exact seeds finds every candidate.  The bounded
-error matching of the ``regex`` library then verifies the window round a
-candidate and reports span and edits.
+Aho-Corasick pass over those exact seeds finds every candidate.  Each word
+start from which the seed can be reached is then verified by an edit distance
+in a band, which gives every word end within the bound and its edits.
 
 Defined cases: null and empty texts give no places, null first and last word,
 empty labels and score 0; very long texts are scanned whole; repeated rows and
@@ -13,6 +13,7 @@ repeated ids each give a row; extra columns are ignored, whatever their names.
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -82,15 +83,14 @@ class Notice:
 
 
 def compile_notices(notices: dict[str, str], letters_per_edit: int = LETTERS_PER_EDIT):
-    """The automaton of all seeds, and for each notice its verifying pattern."""
+    """The automaton of all seeds, and each notice with its own."""
     import ahocorasick
-    import regex
 
     machine, held, checks = ahocorasick.Automaton(), {}, []
     for text, label in notices.items():
         notice = Notice(text, label, max(1, len(text) // letters_per_edit))
-        checks.append((notice, regex.compile(rf"(?b)(?:{regex.escape(text)}){{e<={notice.edits}}}")))
-        for seed, at in notice.seeds:
+        checks.append((notice, notice.seeds))
+        for seed, at in checks[-1][1]:
             held.setdefault(seed, []).append((len(checks) - 1, at))
     for seed, owners in held.items():
         machine.add_word(seed, (len(seed), owners))
@@ -98,38 +98,56 @@ def compile_notices(notices: dict[str, str], letters_per_edit: int = LETTERS_PER
     return machine, checks
 
 
+def word_stops(plain: str, start: int, notice: Notice) -> list[tuple[int, int]]:
+    """Each word end up to which the text from ``start`` is the notice within its bound, and the least edits."""
+    bound, most = notice.edits, len(plain) - start
+    over = bound + 1
+    # Place d of a row stands for d - bound letters more of the text than of the notice.
+    row = [over] * bound + list(range(over))
+    for i, letter in enumerate(notice.text, 1):
+        new = [over] * len(row)
+        for d in range(len(row)):
+            j = i + d - bound
+            if 0 <= j <= most:
+                least = row[d] + (plain[start + j - 1] != letter) if j else over
+                if d + 1 < len(row):
+                    least = min(least, row[d + 1] + 1)
+                if d:
+                    least = min(least, new[d - 1] + 1)
+                new[d] = min(least, over)
+        row = new
+        if min(row) == over:
+            return []
+    stops = [(start + len(notice.text) + d - bound, edits) for d, edits in enumerate(row) if edits < over]
+    return [(x, edits) for x, edits in stops if x > start and plain[x - 1] != " " and (x == len(plain) or plain[x] == " ")]
+
+
+def apart(spans: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
+    """(start, stop, edits) that don't overlap: fewest edits first, then the leftmost, then the longest."""
+    taken: list[tuple[int, int, int]] = []
+    for span in sorted(spans, key=lambda x: (x[2], x[0], -x[1])):
+        at = bisect_left(taken, span)
+        if (at == 0 or taken[at - 1][1] <= span[0]) and (at == len(taken) or span[1] <= taken[at][0]):
+            taken.insert(at, span)
+    return taken
+
+
 def fuzzy_places(plain: str, machine, checks) -> list[tuple[Notice, int, int, int]]:
-    """Verified (notice, start, stop, edits) in a plain text: lower case, one space between words."""
-    windows: dict[int, list[list[int]]] = {}
+    """Verified (notice, start, stop, edits) in a plain text: lower case, one space between words.
+
+    Every whole-word span within a notice's bound is among them or overlaps one
+    of the same notice with no more edits.
+    """
+    starts: dict[int, set[int]] = {}
     for last, (size, owners) in machine.iter(plain):
         for which, at in owners:
-            notice = checks[which][0]
-            low = max(0, last - size + 1 - at - notice.edits)
-            high = min(len(plain), low + len(notice.text) + 2 * notice.edits + 1)
-            own = windows.setdefault(which, [])
-            if own and low <= own[-1][1]:
-                own[-1][1] = max(own[-1][1], high)
-            else:
-                own.append([low, high])
+            middle, edits = last - size + 1 - at, checks[which][0].edits
+            near = range(max(0, middle - edits), min(len(plain), middle + edits + 1))
+            starts.setdefault(which, set()).update(x for x in near if plain[x] != " " and (x == 0 or plain[x - 1] == " "))
     found = []
-    for which, own in windows.items():
-        notice, pattern = checks[which]
-        merged: list[list[int]] = []
-        for low, high in sorted(own):
-            if merged and low <= merged[-1][1]:
-                merged[-1][1] = max(merged[-1][1], high)
-            else:
-                merged.append([low, high])
-        for low, high in merged:
-            for hit in pattern.finditer(plain, low, high):
-                start, stop = hit.span()
-                while start < stop and plain[start] == " ":
-                    start += 1
-                while stop > start and plain[stop - 1] == " ":
-                    stop -= 1
-                whole = (start == 0 or plain[start - 1] == " ") and (stop == len(plain) or plain[stop] == " ")
-                if stop > start and whole:
-                    found.append((notice, start, stop, sum(hit.fuzzy_counts)))
+    for which, own in starts.items():
+        spans = [(x, stop, edits) for x in own for stop, edits in word_stops(plain, x, checks[which][0])]
+        found += [(checks[which][0], *span) for span in apart(spans)]
     return sorted(found, key=lambda x: (x[1], x[2], x[0].label))
 
 

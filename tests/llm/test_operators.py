@@ -93,6 +93,47 @@ def test_seeds_find_all_within_the_bound(length):
         assert license_scan.fuzzy_places(f"zz {''.join(s)} zz", machine, checks)
 
 
+def edit_distance(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        last, row = row, [i]
+        for j, y in enumerate(b, 1):
+            row.append(min(last[j] + 1, row[-1] + 1, last[j - 1] + (x != y)))
+    return row[-1]
+
+
+def test_fuzzy_notices_at_word_ends_and_side_by_side():
+    machine, checks = license_scan.compile_notices(license_scan.NOTICES)
+    find = lambda text: [(n.label, text[a:b], e) for n, a, b, e in license_scan.fuzzy_places(text, machine, checks)]
+    assert find("mozilla public licenses") == [("mpl", "mozilla public licenses", 1)]
+    assert find("a xmozilla public license b") == [("mpl", "xmozilla public license", 1)]
+    assert find("ozilla public licens b") == [("mpl", "ozilla public licens", 2)]
+    assert find("mozilla public licensesxy") == []
+    texts = ["all rights reservd"] * 5 + ["all rights reserved"]
+    assert [x[1] for x in find(" ".join(texts))] == texts
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_fuzzy_places_are_brute_force(seed):
+    import random
+
+    r = random.Random(seed)
+    notices = {"aab bba ab": "x", "ab abba baa ba ab bb": "y"}
+    machine, checks = license_scan.compile_notices(notices)
+    for _ in range(25):
+        text = " ".join("".join(c if r.random() > 0.08 else r.choice("abc") * r.randint(0, 2) for c in r.choice(list(notices))) for _ in range(4))
+        text = " ".join(text.split())
+        cuts = [0, *(i + 1 for i, c in enumerate(text) if c == " "), len(text) + 1]
+        got = license_scan.fuzzy_places(text, machine, checks)
+        for n, _ in checks:
+            spans = {(a, b - 1): edit_distance(n.text, text[a : b - 1]) for i, a in enumerate(cuts) for b in cuts[i + 1 :]}
+            own = {(a, b): e for m, a, b, e in got if m == n}
+            assert all(spans[s] == e <= n.edits for s, e in own.items())
+            assert all(x[1] <= y[0] for x, y in zip(sorted(own), sorted(own)[1:], strict=False))
+            for (a, b), e in spans.items():
+                assert e > n.edits or any(a < d and c < b and f <= e for (c, d), f in own.items()), (text, a, b, e)
+
+
 # ---- secrets
 
 
