@@ -22,7 +22,9 @@ rows.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -44,8 +46,8 @@ BUCKET, LEVELS = 256, 4
 COMPARED = 2_048
 #: Shingles and sets of one side of an exact comparison.
 BLOCK_SHINGLES, BLOCK_SETS = 400_000, 1_024
-#: Standard deviations below the similarity at which a sampled agreement still counts.
-DEVIATIONS = 4.0
+#: Share of the misses that the recall allows which the comparison of samples may cause.
+FILTER_SHARE = 0.1
 
 _RNG = np.random.default_rng(20_240_601)
 _ODD = _RNG.integers(0, 2**32, COORDINATES, dtype=np.uint32) | np.uint32(1)
@@ -206,9 +208,19 @@ def grouped(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.T
         yield pa.Table.from_batches(held)
 
 
-def _compare(similarity: float):
+def least_agreement(similarity: float, recall: float) -> int:
+    """The most coordinates below which a pair of that similarity agrees in at most its share of the misses."""
+    below = 0.0
+    for agreed in range(COORDINATES + 1):
+        below += math.comb(COORDINATES, agreed) * similarity**agreed * (1 - similarity) ** (COORDINATES - agreed)
+        if below > FILTER_SHARE * (1 - recall):
+            return agreed
+    return COORDINATES
+
+
+def _compare(similarity: float, recall: float = RECALL):
     """Stars of sets in a bucket whose samples agree nearly as much as the similarity asks."""
-    least = COORDINATES * (similarity - DEVIATIONS * (similarity * (1 - similarity) / COORDINATES) ** 0.5)
+    least = least_agreement(similarity, recall)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         a, b, size = [], [], 0
@@ -252,9 +264,12 @@ def candidates(sets: DataFrame, similarity: float = SIMILARITY, recall: float =
 
     A bucket whose largest child still has half of its sets holds near copies
     of each other: splitting won't part them, so it is compared as it is.
+    The misses that the recall allows are shared by the paths and the
+    comparison of samples.
     """
+    meeting = 1 - (1 - FILTER_SHARE) * (1 - recall)
     samples = sets.select("name", "sample")
-    nodes = shared.written(samples.mapInArrow(_first_level(runs_for(similarity, recall)), spark_schema(NODES)), "nodes")
+    nodes = shared.written(samples.mapInArrow(_first_level(runs_for(similarity, meeting)), spark_schema(NODES)), "nodes")
     member = nodes.join(_sized(nodes, ["node"]), "node").select("node", "name", "size")
     done = member.where(F.col("size") <= BUCKET)
     large = shared.written(member.where(F.col("size") > BUCKET), "large")
@@ -264,7 +279,7 @@ def candidates(sets: DataFrame, similarity: float = SIMILARITY, recall: float =
         if level == LEVELS:
             done = done.unionByName(large)
             break
-        children = large.join(samples, "name").select("node", "name", "sample").mapInArrow(_next_level(similarity, level, recall), spark_schema(CHILDREN))
+        children = large.join(samples, "name").select("node", "name", "sample").mapInArrow(_next_level(similarity, level, meeting), spark_schema(CHILDREN))
         children = shared.written(children, "children")
         own = children.groupBy("parent", "node").agg(F.count("*").alias("n")).groupBy("parent").agg(F.max("n").alias("top"))
         judged = large.groupBy("node").agg(F.max("size").alias("whole")).join(own.withColumnRenamed("parent", "node"), "node")
@@ -281,7 +296,7 @@ def candidates(sets: DataFrame, similarity: float = SIMILARITY, recall: float =
     thin = samples.mapInArrow(_low_bytes, spark_schema(BYTES))
     joined = placed.join(thin, "name")
     dealt = joined.repartition("node", "low", "high").sortWithinPartitions("node", "low", "high", "name")
-    return dealt.mapInArrow(_compare(similarity), spark_schema(EDGES))
+    return dealt.mapInArrow(_compare(similarity, recall), spark_schema(EDGES))
 
 
 BYTES = fields(name=pa.int64(), bytes=pa.binary())

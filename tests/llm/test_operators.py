@@ -1,12 +1,14 @@
 """The training-data operators against brute force, and their edge cases."""
 
 import hashlib
+import math
 import re
 import zlib
 from collections import Counter, defaultdict
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
@@ -324,6 +326,16 @@ def test_large_buckets_are_parted(spark, monkeypatch):
     assert got == brute_classes(rows)
 
 
+def test_samples_are_compared_within_the_recall():
+    # At a similarity of 0.8 a pair agrees in 84 coordinates or fewer with a probability of 1e-4.
+    s = np.zeros((2, near_duplicates.COORDINATES), np.uint8)
+    s[1, 84:] = 1
+    batch = pa.RecordBatch.from_pydict({"node": [1, 1], "low": [0, 0], "high": [0, 0], "side": [0, 0], "name": [5, 6], "bytes": [x.tobytes() for x in s]})
+    assert sum(x.num_rows for x in near_duplicates._compare(0.8)(iter([batch]))) == 1
+    miss = sum(math.comb(128, i) * 0.8**i * 0.2 ** (128 - i) for i in range(near_duplicates.least_agreement(0.8, 0.99999)))
+    assert 0 < miss <= 1e-6
+
+
 # ---- top-k
 
 
