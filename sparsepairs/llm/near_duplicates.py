@@ -161,8 +161,10 @@ def _next_level(similarity: float, level: int, recall: float = RECALL):
         for batch in batches:
             parent = batch.column("node").to_numpy(zero_copy_only=False).view(np.uint64)
             sample = np.frombuffer(b"".join(batch.column("sample").to_pylist()), "<u4").reshape(-1, COORDINATES)
-            for t in range(many):
-                i = (mix(parent + np.uint64(7_919 * (t + 1) + level)) % np.uint64(COORDINATES)).astype(np.int64)
+            # An odd step visits all coordinates before one comes again.
+            start, step = mix(parent + np.uint64(7_919 + level)), mix(parent + np.uint64(2 * 7_919 + level)) | np.uint64(1)
+            for t in range(min(many, COORDINATES)):
+                i = ((start + np.uint64(t) * step) % np.uint64(COORDINATES)).astype(np.int64)
                 node = mix(parent ^ mix(sample[np.arange(len(i)), i].astype(np.uint64) + ((i + 1).astype(np.uint64) << np.uint64(40))))
                 yield pa.RecordBatch.from_arrays([batch.column("node"), pa.array(node.view(np.int64)), batch.column("name")], schema=CHILDREN)
 
@@ -254,9 +256,12 @@ def _compare(similarity: float, recall: float = RECALL):
 
 def _sized(nodes: DataFrame, keys: list[str]) -> DataFrame:
     """Buckets of two or more with their size; of buckets with the same members one is kept."""
-    members = (F.bit_xor(F.xxhash64("name")).alias("x"), F.bit_xor(F.xxhash64("name", F.lit(1))).alias("y"))
+    # Sums of 32-bit halves: rows that come twice don't cancel, and no sum overflows below 2^31 members.
+    first, second = F.xxhash64("name"), F.xxhash64("name", F.lit(1))
+    halves = [h for x in (first, second) for h in (x.bitwiseAND(F.lit(2**32 - 1)), F.shiftrightunsigned(x, 32))]
+    members = [F.sum(h).alias(f"s{i}") for i, h in enumerate(halves)]
     sizes = nodes.groupBy(*keys).agg(F.count("*").alias("size"), *members).where("size > 1")
-    return sizes.groupBy("size", "x", "y").agg(F.min(F.struct(*keys)).alias("k")).select("k.*", "size")
+    return sizes.groupBy("size", *[f"s{i}" for i in range(len(halves))]).agg(F.min(F.struct(*keys)).alias("k")).select("k.*", "size")
 
 
 def candidates(sets: DataFrame, similarity: float = SIMILARITY, recall: float = RECALL) -> DataFrame:

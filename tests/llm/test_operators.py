@@ -336,6 +336,22 @@ def test_samples_are_compared_within_the_recall():
     assert 0 < miss <= 1e-6
 
 
+def test_children_of_a_bucket_are_distinct():
+    n = 400
+    sample = np.random.default_rng(5).integers(0, 2**32, near_duplicates.COORDINATES, dtype=np.uint32).tobytes()
+    batch = pa.RecordBatch.from_pydict({"node": list(range(n)), "name": [9] * n, "sample": [sample] * n})
+    for level in (1, 2, 3):
+        rows = [(r["parent"], r["node"], r["name"]) for x in near_duplicates._next_level(0.8, level)(iter([batch])) for r in x.to_pylist()]
+        assert len(rows) > 2 * n and len(set(rows)) == len(rows)
+
+
+def test_buckets_of_other_members_are_kept(spark):
+    # All rows come twice, so an exclusive or of the members' hashes is 0 in both buckets.
+    rows = [(node, name) for node, names in ((1, (10, 11)), (2, (12, 13)), (3, (12, 13))) for name in names] * 2
+    got = near_duplicates._sized(spark.createDataFrame(rows, "node long, name long"), ["node"]).collect()
+    assert sorted((r["node"], r["size"]) for r in got) == [(1, 4), (2, 4)]
+
+
 # ---- top-k
 
 
