@@ -12,7 +12,7 @@ A group with many vectors is split into salted parts, and queries go to each
 of them.  Defined cases: null vectors, vectors with null or non-finite
 components, null ids and vectors of another length than most take no part;
 repeated ids count as one with its best score and never answer themselves;
-ties go to the smaller id; fewer vectors than k give all; an empty table gives
+ties go to the smaller id; a zero query reaches every group; fewer vectors than k give all; an empty table gives
 no rows; extra columns are ignored.
 """
 
@@ -106,11 +106,10 @@ def _chunker(space: Space):
     return run
 
 
-def _planner(space: Space, far: np.ndarray, near: np.ndarray, nearest: list[list[float]], k: int):
+def _planner(space: Space, far: np.ndarray, near: np.ndarray, nearest: list[list[float]], there: np.ndarray, k: int):
     """Blocks of queries with the groups that may hold one of their k nearest."""
     all_near = np.concatenate([np.asarray(x) for x in nearest]) if nearest else np.zeros(0)
     owner = np.repeat(np.arange(len(nearest)), [len(x) for x in nearest])
-    there = np.array([len(x) > 0 for x in nearest])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -121,6 +120,8 @@ def _planner(space: Space, far: np.ndarray, near: np.ndarray, nearest: list[list
             upper = d[:, owner] + all_near
             # One more than k: a query is among the vectors itself.
             bound = np.partition(upper, k, 1)[:, k] if upper.shape[1] > k else np.full(len(ids), np.inf)
+            # All vectors score 0 with a zero query, so its distances tell nothing and the ids decide.
+            bound = np.where(q.any(1), bound, np.inf)
             reach = np.maximum(d - far, near - d) <= bound[:, None] * (1 + SLACK) + 1e-6
             reach &= there
             order = np.argsort(d.argmin(1), kind="stable")
@@ -202,7 +203,8 @@ def knn_join(vectors: DataFrame, is_query: Column, k: int = 5, pivots: int = PIV
             nearest[r["cell"]].append(r["d"])
     far = np.array([groups[c]["far"] if c in groups else 0.0 for c in range(len(picked))])
     near = np.array([groups[c]["near"] if c in groups else 0.0 for c in range(len(picked))])
-    blocks = own.where(is_query).mapInArrow(_planner(space, far, near, nearest, k), spark_schema(BLOCKS))
+    there = np.array([c in groups for c in range(len(picked))])
+    blocks = own.where(is_query).mapInArrow(_planner(space, far, near, nearest, there, k), spark_schema(BLOCKS))
     parts = F.lit(1)
     for c, r in groups.items():
         if r["n"] > part_rows:

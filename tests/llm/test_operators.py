@@ -372,6 +372,15 @@ def test_knn_edges(spark):
     assert knn_join.knn_join(df.limit(0), F.col("vec_id") == 0, 3).collect() == []
 
 
+def test_knn_zero_query_among_other_norms(spark):
+    # The smallest ids are long vectors in tight groups, far from the pole at which the zero vectors lie.
+    r = np.random.default_rng(7)
+    v = [10 * np.eye(8)[i % 4] + 0.01 * r.normal(size=8) for i in range(100)] + [np.zeros(8)] * 100
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id long, embedding array<double>")
+    got = [(a["rank"], a["vec_id"], a["score"]) for a in knn_join.knn_join(df, F.col("vec_id") == 150, 5).orderBy("rank").collect()]
+    assert got == [(i + 1, i, 0) for i in range(5)]
+
+
 def test_knn_prunes_clusters(spark):
     r = np.random.default_rng(5)
     centres = r.normal(size=(8, 16))
