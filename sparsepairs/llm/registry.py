@@ -68,8 +68,8 @@ def op9_pairwise_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_subword_sampling(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Three distinct segmentations of every document with inclusion scores; ids as their crc32."""
-    return subword_sampling.sample_encodings(table(spark, sf_dir, "documents"), keep_ids=False).drop("ids")
+    """Three distinct segmentations of every document, as ids, with inclusion scores."""
+    return subword_sampling.sample_encodings(table(spark, sf_dir, "documents"))
 
 
 def op3_knn_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -503,8 +503,8 @@ def test_samples_follow_the_distribution():
         first[ids[0]] += 1
         second[ids[1]] += 1
         for x, i in zip(paths, ids, strict=True):
-            assert abs(np.exp(x.before[-1]) - p[i]) < 1e-9
-            weight += p[i] / -np.expm1(-np.exp(x.before[-1] - after)) / n
+            assert abs(np.exp(x.log_prob) - p[i]) < 1e-9
+            weight += p[i] / -np.expm1(-np.exp(x.log_prob - after)) / n
     assert abs(weight - 1) < 0.02
     for x in sorted(p, key=p.get)[-3:]:
         twice = sum(p[y] * p[x] / (1 - p[y]) for y in p if y != x)
@@ -523,10 +523,76 @@ def test_samples_are_all_segmentations_when_few(spark):
 
 def test_samples_do_not_depend_on_partitions(spark, docs):
     df = spark.createDataFrame([(int(i), t) for i, t in zip(docs.doc_id[:40], docs.text[:40], strict=True)], "doc_id long, text string")
-    rows = lambda d: sorted((r["doc_id"], r["rank"], r["ids_crc32"]) for r in subword_sampling.sample_encodings(d, keep_ids=False).collect())
+    rows = lambda d: sorted((r["doc_id"], r["rank"], r["ids_crc32"]) for r in subword_sampling.sample_encodings(d).collect())
     assert rows(df.repartition(1)) == rows(df.repartition(7))
 
 
+def log_total(s, known):
+    """Log sum of all segmentations of a marked text, by a plain forward pass."""
+    total = [0.0]
+    for j in range(1, len(s) + 1):
+        ways = [total[i] + known[s[i:j]] for i in range(max(0, j - 16), j) if s[i:j] in known]
+        top = max(ways)
+        total.append(top + math.log(sum(math.exp(w - top) for w in ways)))
+    return total[-1]
+
+
+def test_sampled_rows_are_brute_force(spark, sf, docs):
+    """Every row of the query: ids, checksum, round trip, exact log probability, order and inclusion."""
+    import public_tokenizers
+    import sentencepiece
+
+    plain = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path(subword_sampling.MODEL))
+    vocab = subword_sampling.vocabulary()
+    known = {p: float(vocab.log_prob[i]) for i, p in enumerate(vocab.pieces) if np.isfinite(vocab.log_prob[i])}
+    texts = dict(zip(docs.doc_id, docs.text, strict=True))
+    rows = defaultdict(list)
+    for r in registry.op2_subword_sampling(spark, sf).collect():
+        rows[r["doc_id"]].append(r)
+    assert set(rows) == set(texts)
+    for i, own in rows.items():
+        own.sort(key=lambda r: r["rank"])
+        marked = chr(subword_sampling.MARK) + texts[i].replace(" ", chr(subword_sampling.MARK))
+        bare = {c: vocab.byte_log_prob * len(c.encode()) for c in set(marked) if c not in known}
+        whole = log_total(marked, known | bare)
+        assert len({tuple(r["ids"]) for r in own}) == len(own) == 3 and [r["rank"] for r in own] == [1, 2, 3]
+        assert own[0]["perturbed"] >= own[1]["perturbed"] >= own[2]["perturbed"]
+        for r in own:
+            ids = r["ids"]
+            assert r["decodes"] and plain.decode(ids) == texts[i]
+            assert (r["n_pieces"], r["ids_crc32"]) == (len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
+            want = sum(vocab.byte_log_prob if plain.is_byte(x) else known[vocab.pieces[x]] for x in ids) - whole
+            assert abs(r["log_prob"] - want) < 1e-6 * max(1, abs(want)) + 1e-6
+            assert 0 < r["inclusion"] <= 1
+
+
+def test_far_sets_need_no_variate():
+    """Paths that weigh only near places give the same samples as paths that weigh all."""
+    vocab = subword_sampling.vocabulary()
+    text = " ".join(["unbelievable", "segmentation", "lattices", "rewritten"] * 150)
+    keys = mix(np.arange(30, dtype=np.uint64))
+
+    def sampled():
+        return [([p.edges.tolist() for p in own], after) for own, after, _ in subword_sampling.sample_batch([text] * len(keys), keys, vocab, 4)]
+
+    few = sampled()
+    most, subword_sampling.MOST = subword_sampling.MOST, 1e9
+    try:
+        assert sampled() == few
+    finally:
+        subword_sampling.MOST = most
+
+
+def test_transitions_are_the_trie():
+    vocab = subword_sampling.vocabulary()
+    for piece in vocab.pieces[300:2000]:
+        node = int(vocab.root[ord(piece[0])])
+        for c in piece[1:]:
+            node = int(vocab.steps(np.array([node]), np.array([ord(c)]))[0])
+        assert vocab.pieces[vocab.ends[node]] == piece
+    assert vocab.steps(np.array([0, 5]), np.array([0x10FFFF, 0x10FFFF])).tolist() == [-1, -1]
+
+
 # ---- edge cases of all
 
 
