@@ -28,6 +28,7 @@ long texts are sampled whole; repeated ids draw alike, and a null id draws like
 
 from __future__ import annotations
 
+import math
 import zlib
 from collections.abc import Iterator
 
@@ -37,16 +38,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .batches import fields, mix, sliced, spark_schema
+from .batches import _MIX_A, _MIX_B, fields, mix, sliced, spark_schema
 
 MODEL = "piece_bpe_32k.model"
 SAMPLES = 3
 #: The space mark of pieces, and bits of a code point.
 MARK, BITS = 0x2581, 21
+_ALL = 2**64 - 1
 #: Sizes of the tables of transitions and of letters that stand side by side in a piece.
 SLOT_BITS, PAIR_BITS = 18, 22
 #: Text bytes that are sampled together, and places of lattices that a worker holds.
-SLICE, MOST_PLACES = 400_000, 700_000
+SLICE, MOST_PLACES = 400_000, 1_600_000
 
 SAMPLED = fields(
     doc_id=pa.int64(), rank=pa.int32(), ids=pa.list_(pa.int32()), n_pieces=pa.int64(), ids_crc32=pa.int64(),
@@ -63,6 +65,14 @@ def _pair(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return ((a.astype(np.uint32) * np.uint32(0x9E3779B1) + b.astype(np.uint32)) * np.uint32(0x85EBCA77)) >> np.uint32(32 - PAIR_BITS)
 
 
+def one_uniform(x: int) -> float:
+    """``uniform`` of a single number."""
+    x &= _ALL
+    x = ((x ^ (x >> 32)) * int(_MIX_B)) & _ALL
+    x = ((x ^ (x >> 29)) * int(_MIX_A)) & _ALL
+    return (((x ^ (x >> 32)) >> 12) + 0.5) / 2.0**52
+
+
 class Vocabulary:
     """The pieces of a model as a trie of sorted transitions."""
 
@@ -174,7 +184,8 @@ def gumbel(u: np.ndarray) -> np.ndarray:
 
 def truncated(key: float, limit: float) -> float:
     """A Gumbel variate cut off at the limit; an empty set stays at minus infinity."""
-    return -float(np.logaddexp(-limit, -key))
+    low, high = min(key, limit), max(key, limit)
+    return -math.inf if low == -math.inf else low - math.log1p(math.exp(low - high))
 
 
 class Lattices:
@@ -389,7 +400,7 @@ class Path:
         else:
             self.places = np.arange(branch, branch + len(mass))
         # Untruncated keys; the truncation at the limit keeps their order.
-        self.gumbels = mass + gumbel(self._draw(self.places, 0))
+        self.gumbels = mass + gumbel(uniform(seed ^ mix(self.places.astype(np.uint64) * np.uint64(64) + np.uint64(1))))
         # Sets that lost an edge have limits of their own.
         self.redrawn: dict[int, float] = {}
 
@@ -397,9 +408,6 @@ class Path:
     def log_prob(self) -> float:
         return float(self.before[-1])
 
-    def _draw(self, place: np.ndarray, turn: int) -> np.ndarray:
-        return uniform(self.seed ^ mix(place.astype(np.uint64) * np.uint64(64) + np.uint64(2 * turn + 1)))
-
     def best(self) -> tuple[float, int]:
         """The largest key of the sets and its place; minus infinity where none is left."""
         found = max(((key, place) for place, key in self.redrawn.items()), default=(-np.inf, -1))
@@ -413,11 +421,12 @@ class Path:
         """Takes ``edge`` out of the set at ``place`` and draws the rest's key."""
         out = self.banned.setdefault(place, [int(self.edges[place])])
         out.append(edge)
-        gone = float(np.exp(lattices.log_p[out]).sum())
+        gone = sum(math.exp(lattices.log_p[x]) for x in out)
         start = lattices.first[edge]
         left = lattices.edges_of[start + 1] - lattices.edges_of[start]
-        rest = -np.inf if left == len(out) or gone >= 1 - 1e-12 else float(np.log1p(-gone))
-        own = self.before[place] + rest + float(gumbel(self._draw(np.array([place]), len(out)))[0])
+        rest = -math.inf if left == len(out) or gone >= 1 - 1e-12 else math.log1p(-gone)
+        u = one_uniform(int(self.seed) ^ int(mix(np.array([place * 64 + 2 * len(out) + 1], np.uint64))[0]))
+        own = float(self.before[place]) + rest - math.log(-math.log(u))
         self.redrawn[place] = truncated(own, limit)
         self.gumbels[self.places == place] = -np.inf
 
@@ -477,7 +486,7 @@ def sample_batch(texts: list[str], row_keys: np.ndarray, vocab: Vocabulary, k: i
             chance = np.exp(lattices.log_p[low:high])
             chance[np.array(parent.banned.get(place, [int(parent.edges[place])])) - low] = 0
             ladder = np.cumsum(chance)
-            u = float(uniform(seeds[r : r + 1] ^ np.uint64(0x1234567))[0])
+            u = one_uniform(int(seeds[r]) ^ 0x1234567)
             pick = min(int(np.searchsorted(ladder, u * ladder[-1], "right")), high - low - 1)
             pick = low + (pick if chance[pick] else int(chance.argmax()))
             parent.ban(place, lattices, pick, limit)
