@@ -5,8 +5,8 @@ prefixes, so inflected forms share what is learned.  Filters of several widths s
 over the words of a whole text, the largest answer of each filter is kept and
 a logistic layer gives the score.  Training runs on the driver over a bounded
 labelled sample; scoring maps over batches with the filters folded into lookup
-tables.  Thresholds are calibrated by language after the score, which itself
-sees nothing but the text.
+tables.  Thresholds are calibrated by language after the score, on labelled rows
+that were kept out of training; the score itself sees nothing but the text.
 
 Defined cases: null and empty texts get the score of a text without words;
 very long texts are scored whole; without labels of both classes the score is
@@ -35,6 +35,8 @@ FILTERS = 8
 #: Bound of the labelled rows of the training sample.
 MOST_LABELLED = 6_000
 EPOCHS = 10
+#: One labelled row in so many is kept out of training, for the thresholds.
+CALIBRATED = 5
 BATCH_WORDS = 30_000
 #: Rows of prior evidence when a word's share of toxic texts is estimated.
 PRIOR = 15.0
@@ -76,23 +78,24 @@ class Model:
 
     def tables(self, keys: np.ndarray) -> dict[int, list[np.ndarray]]:
         """For each width, each place's answer to each word; the last row is padding."""
-        vectors = np.zeros((len(keys) + 1, DIMS), np.float32)
+        vectors = np.zeros((len(keys) + 1, DIMS))
         for k in range(keys.shape[1]):
             vectors[:-1] += self.embedding[keys[:, k]]
         return {w: [vectors @ f[j] for j in range(w)] for w, f in self.filters.items()}
 
 
 def pooled(ids: np.ndarray, before: np.ndarray, tables: dict[int, list[np.ndarray]], step: int = 60_000) -> np.ndarray:
-    """The largest answer of every filter for each row; windows reach into zero padding."""
+    """The largest answer of every filter for each row; windows reach into zero padding, never into another row."""
     rows, gap = len(before) - 1, max(tables)
     total = len(ids) + gap * rows
     seq = np.full(total + gap, len(tables[gap][0]) - 1, np.int32)
     heads = before[:-1] + gap * np.arange(rows)
+    stops = np.append(heads[1:], total)
     if len(ids):
         seq[np.arange(len(ids)) + np.repeat(gap * np.arange(rows), np.diff(before))] = ids
     out = []
     for w, places in tables.items():
-        best = np.full((rows, places[0].shape[1]), -np.inf, np.float32)
+        best = np.full((rows, places[0].shape[1]), -np.inf)
         r = 0
         while r < rows:
             # Rows up to about ``step`` words; a longer row is walked in parts.
@@ -104,6 +107,9 @@ def pooled(ids: np.ndarray, before: np.ndarray, tables: dict[int, list[np.ndarra
                 answer = places[0][seq[a:b]]
                 for j in range(1, w):
                     answer += places[j][seq[a + j : b + j]]
+                    # Windows that start on a row's last places would see the next row.
+                    over = stops[r:stop] - j
+                    answer[over[(over >= a) & (over < b)] - a] = -np.inf
                 if stop == r + 1:
                     np.maximum(best[r], answer.max(0), out=best[r])
                 else:
@@ -132,7 +138,7 @@ def _evidence(docs: list[np.ndarray], y: np.ndarray) -> np.ndarray:
     return np.log(rate / (1 - rate)) - np.log(share / (1 - share))
 
 
-def train(docs: list[np.ndarray], labels: np.ndarray, langs: list[str | None] | None = None, seed: int = 11, epochs: int = EPOCHS) -> Model:
+def train(docs: list[np.ndarray], labels: np.ndarray, seed: int = 11, epochs: int = EPOCHS) -> Model:
     """Adagrad on the logistic loss; a document is its words' embedding rows, in order.
 
      Gradients reach only the windows that max pooling kept.
@@ -215,29 +221,34 @@ def train(docs: list[np.ndarray], labels: np.ndarray, langs: list[str | None] |
             g_emb[touched] += (grad**2).mean(1)
             emb[touched] -= (0.3 * rate * grad / np.sqrt(g_emb[touched])[:, None]).astype(np.float32)
             emb[PAD] = 0
-    _calibrate(model, docs, y, langs or [None] * len(docs))
     return model
 
 
-def _calibrate(model: Model, docs: list[np.ndarray], y: np.ndarray, langs: list[str | None]) -> None:
-    """Thresholds of fewest errors, by language where it has enough toxic rows."""
-    s = np.zeros(len(docs))
+def calibrate(model: Model, docs: list[np.ndarray], labels: np.ndarray, langs: list[str | None] | None = None) -> None:
+    """Thresholds of fewest errors on rows that the model hasn't learned from, in general and by language.
+
+    Of equal ones the threshold next to 0.5 is taken; with fewer than
+    ``LEAST_POSITIVES`` rows of a class it stays as it is.
+    """
+    y, s = np.asarray(labels, float), np.zeros(len(docs))
+    langs = langs or [None] * len(docs)
     for a in range(0, len(docs), 64):
         some = docs[a : a + 64]
         before = np.concatenate([[0], np.cumsum([len(d) for d in some])]).astype(np.int64)
         s[a : a + 64] = scores(model, np.concatenate(some), np.arange(before[-1], dtype=np.int32), before)
 
-    def best(own: np.ndarray) -> float:
+    def best(own: np.ndarray) -> float | None:
+        if not LEAST_POSITIVES <= y[own].sum() <= own.sum() - LEAST_POSITIVES:
+            return None
         grid = np.linspace(0.2, 0.8, 25)
         errors = [((s[own] >= t) != (y[own] == 1)).sum() for t in grid]
         good = grid[np.array(errors) == min(errors)]
         return float(good[np.argmin(np.abs(good - 0.5))])
 
-    model.threshold = best(np.ones(len(y), bool))
+    model.threshold = best(np.ones(len(y), bool)) or model.threshold
     for lang in sorted({x for x in langs if x is not None}):
-        own = np.array([x == lang for x in langs])
-        if LEAST_POSITIVES <= y[own].sum() <= own.sum() - LEAST_POSITIVES:
-            model.thresholds[lang] = best(own)
+        if found := best(np.array([x == lang for x in langs])):
+            model.thresholds[lang] = found
 
 
 def _ids(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -251,13 +262,17 @@ IDS = fields(doc_id=pa.int64(), lang=pa.string(), label=pa.int32(), ids=pa.binar
 
 
 def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MOST_LABELLED) -> Model:
-    """A model from at most ``most`` labelled documents outside fold 0."""
+    """A model from at most ``most`` labelled documents outside fold 0; one in ``CALIBRATED`` sets thresholds and isn't learned from."""
     lang = F.col("lang").cast("string") if "lang" in docs.columns else F.lit(None).cast("string")
     known = text_stats.labelled(docs.select("doc_id", "text", lang.alias("lang")), labels, label, most, ["text", "lang"])
     rows = known.select("doc_id", "lang", F.col(label).alias("label"), "text").mapInArrow(_ids, spark_schema(IDS)).collect()
     rows.sort(key=lambda r: (r["doc_id"], bytes(r["ids"])))
     keys = [np.frombuffer(r["ids"], np.int32).reshape(-1, 1 + len(PREFIXES)) for r in rows]
-    return train(keys, np.array([r["label"] for r in rows], float), [r["lang"] for r in rows])
+    y, langs = np.array([r["label"] for r in rows], float), [r["lang"] for r in rows]
+    kept = [np.flatnonzero((np.arange(len(rows)) % CALIBRATED == CALIBRATED - 1) == held) for held in (False, True)]
+    model = train([keys[i] for i in kept[0]], y[kept[0]])
+    calibrate(model, [keys[i] for i in kept[1]], y[kept[1]], [langs[i] for i in kept[1]])
+    return model
 
 
 def score(docs: DataFrame, model: Model, out: str = "score") -> DataFrame:

@@ -27,7 +27,7 @@ from sparsepairs.llm import (
     token_rollup,
     toxicity,
 )
-from sparsepairs.llm.batches import mix
+from sparsepairs.llm.batches import mix, text_bytes
 
 LONG = "lang wort " * 20_000
 TEXTS = [None, "", "   \n", "a", "same words stand in this row", "same words stand in this row", "ÄÖ ünï 日本 x", LONG]
@@ -244,7 +244,7 @@ def test_held_out_accuracy(spark, query, label, least):
 
 def test_convolution_is_brute_force():
     r = np.random.default_rng(0)
-    words = [r.integers(0, 50, n) for n in (0, 1, 5, 300)]
+    words = [r.integers(0, 50, n) for n in (0, 1, 5, 300, 2, 0, 0, 7)]
     tables = {w: [np.vstack([r.normal(size=(50, 4)), np.zeros((1, 4))]).astype(np.float32) for _ in range(w)] for w in (1, 2, 3)}
     before = np.concatenate([[0], np.cumsum([len(x) for x in words])]).astype(np.int64)
     for step in (20, 60_000):
@@ -255,11 +255,50 @@ def test_convolution_is_brute_force():
             for w, places in tables.items():
                 n = len(x)
                 want = np.max([sum(places[j][x[i + j]] if i + j < n else 0 for j in range(w)) for i in range(n)], 0)
-                if row + 1 == len(words) or w == 1:
-                    assert np.allclose(np.maximum(want, 0), np.maximum(got[row, at : at + 4], 0), atol=1e-5)
+                assert np.allclose(want, got[row, at : at + 4], atol=1e-6)
                 at += 4
 
 
+def test_scores_see_their_own_text_only(spark):
+    """Alone, in a batch and in a reversed batch, and by a plain loop over windows: the same score."""
+    sf = "/root/testdata/sf0.01"
+    whole = spark.read.parquet(f"{sf}/documents.parquet")
+    model = toxicity.fit(whole, spark.read.parquet(f"{sf}/labels.parquet"))
+    texts = ["", *pq.read_table(f"{sf}/documents.parquet").column("text").to_pylist(), "", "a"]
+
+    def scores(some):
+        return toxicity.scores(model, *toxicity.word_keys(*text_bytes(pa.array(some, pa.string()))))
+
+    batch = scores(texts)
+    assert np.abs(batch - np.concatenate([scores([t]) for t in texts])).max() < 1e-9
+    assert np.abs(batch - scores(texts[::-1])[::-1]).max() < 1e-9
+    for text, got in list(zip(texts, batch, strict=True))[::25]:
+        keys, ids, _ = toxicity.word_keys(*text_bytes(pa.array([text])))
+        words = np.concatenate([model.embedding[keys[ids]].sum(1, dtype=float), np.zeros((3, toxicity.DIMS))])
+        hidden = [np.max([np.einsum("wd,wdf->f", words[i : i + w], f) for i in range(len(words) - w + 1)], 0) for w, f in model.filters.items()]
+        at = np.maximum(np.concatenate(hidden) + model.bias, 0) @ model.out + model.out_bias
+        assert abs(1 / (1 + np.exp(-np.clip(at, -30, 30))) - got) < 1e-6
+
+
+def test_thresholds_come_from_rows_kept_out(monkeypatch):
+    seen = {}
+    monkeypatch.setattr(toxicity, "train", lambda docs, y: seen.setdefault("learned", [int(d[0, 0]) for d in docs]) and toxicity.Model(None, {}, None, None, 0.0))
+    monkeypatch.setattr(toxicity, "calibrate", lambda m, docs, y, langs: seen.setdefault("held", [int(d[0, 0]) for d in docs]))
+
+    class Rows:
+        def __getattr__(self, name):
+            return lambda *a: self
+
+        columns = ["doc_id", "text"]
+
+        def collect(self):
+            return [{"doc_id": i, "lang": None, "label": i % 2, "ids": np.full((1, 5), i, np.int32).tobytes()} for i in range(50)]
+
+    monkeypatch.setattr(toxicity.text_stats, "labelled", lambda *a: Rows())
+    toxicity.fit(Rows(), None)
+    assert not set(seen["held"]) & set(seen["learned"]) and len(seen["held"]) == 10 and len(seen["learned"]) == 40
+
+
 def test_one_class_gives_no_verdict():
     m = toxicity.train([np.zeros((3, 5), np.int32)] * 4, np.zeros(4))
     assert m.out_bias < 0 and not m.out.any()
