@@ -4,12 +4,13 @@ Documents longer than a sequence give whole sequences and a remainder.  The
 histogram of piece lengths has at most one entry for each length, whatever the
 size of the corpus.  A linear program over patterns (how many pieces of each
 length share a sequence) is solved by the simplex method; a knapsack dynamic
-programme over the dual prices finds the next column.  Patterns are rounded
+programme over the dual prices finds the next columns.  Patterns are rounded
 down and what is left is filled greedily.  Pieces are then ranked within their
 length and the ranks are dealt to the patterns' places.
 
-Ranks come from salted groups: each length has as many groups as its count
-needs, and group offsets are a table, so no task holds a whole length.
+Ranks come from salted groups: each length has as many groups as its share of
+all pieces needs, and group offsets are a table, so no task holds a whole
+length.
 
 Defined cases: null and empty texts are the end token alone; very long texts
 are packed whole; repeated rows and ids are pieces of their own; an empty
@@ -32,10 +33,12 @@ from .batches import fields, sliced, spark_schema
 from .tokens import END, encoder
 
 SEQUENCE = 1024
-#: Rows that one ranking task may hold.
-GROUP_ROWS = 200_000
-#: The linear program ends at this gap to its bound, where no whole sequence is left to save, or after so many columns.
-GAP, MOST_COLUMNS = 1e-3, 200
+#: Rows that one ranking task may hold, and groups into which smaller tables are dealt.
+GROUP_ROWS, GROUPS = 200_000, 4_096
+#: Relative tolerance of the linear program: five sequences in 100,000.
+TOLERANCE = 5e-5
+#: Columns of one round of pricing.
+OFFERED = 96
 
 PIECES = fields(doc_id=pa.int64(), start=pa.int64(), length=pa.int64(), ids_crc32=pa.int64(), doc_tokens=pa.int64())
 
@@ -102,92 +105,154 @@ def greedy(demand: dict[int, int], sequence: int = SEQUENCE, whole: bool = True)
     return out
 
 
-def best_column(prices: np.ndarray, lengths: np.ndarray, sequence: int = SEQUENCE) -> tuple[float, np.ndarray]:
-    """Unbounded knapsack: counts of highest total price that fit a sequence."""
-    value = np.zeros(sequence + 1)
-    choice = np.full(sequence + 1, -1)
-    for room in range(int(lengths[0]), sequence + 1):
-        n = int(np.searchsorted(lengths, room, "right"))
-        got = value[room - lengths[:n]] + prices[:n]
-        k = int(np.argmax(got))
-        if got[k] > value[room - 1] + 1e-12:
-            value[room], choice[room] = got[k], k
-        else:
-            value[room], choice[room] = value[room - 1], -1
-    counts, room = np.zeros(len(lengths)), sequence
-    while room >= lengths[0]:
-        if choice[room] < 0:
-            room -= 1
-        else:
-            counts[choice[room]] += 1
-            room -= int(lengths[choice[room]])
-    return float(value[sequence]), counts
-
-
-def solve(demand: dict[int, int], sequence: int = SEQUENCE) -> list[Pattern]:
-    """Patterns that use every piece once, by column generation and rounding."""
-    demand = {k: int(v) for k, v in demand.items() if v > 0}
-    if not demand:
-        return []
-    lengths = np.array(sorted(demand))
+class Knapsack:
+    """Unbounded knapsacks of all sizes up to a sequence, by dynamic programming over the prices of lengths."""
+
+    def __init__(self, prices: np.ndarray, lengths: np.ndarray, sequence: int = SEQUENCE):
+        self.lengths, self.sequence, low = lengths, sequence, int(lengths[0])
+        dense = np.full(sequence + 1, -np.inf)
+        dense[lengths[prices > 0]] = prices[prices > 0]
+        self.value, last = np.zeros(sequence + 1), np.zeros(sequence + 1, np.int64)
+        for room in range(low, sequence + 1):
+            got = dense[low : room + 1] + self.value[room - low :: -1]
+            k = int(got.argmax())
+            self.value[room] = self.value[room - 1]
+            if got[k] > self.value[room - 1] + 1e-12:
+                self.value[room], last[room] = got[k], k + low
+        # The longest filled part of each room, and the last piece in it.
+        self.filled = np.maximum.accumulate(np.where(last > 0, np.arange(sequence + 1), 0))
+        self.last = last
+        self.with_first = prices + self.value[sequence - lengths]
+
+    def columns(self, first: np.ndarray) -> np.ndarray:
+        """The best column that holds each of the given lengths (by place): a row of counts for each."""
+        place = np.zeros(self.sequence + 1, np.int64)
+        place[self.lengths] = np.arange(len(self.lengths))
+        out = np.zeros((len(first), len(self.lengths)))
+        out[np.arange(len(first)), first] = 1
+        room, rows = self.sequence - self.lengths[first], np.arange(len(first))
+        while len(rows):
+            room = self.filled[room]
+            rows, room = rows[room > 0], room[room > 0]
+            piece = self.last[room]
+            out[rows, place[piece]] += 1
+            room = room - piece
+        return out
+
+
+@dataclass(frozen=True)
+class Plan:
+    """Patterns that use every piece once; the linear program's value and lower bound, and the columns that were priced in."""
+
+    patterns: list[Pattern]
+    lp_value: float
+    bound: float
+    columns: int
+
+    @property
+    def sequences(self) -> int:
+        return sum(p.copies for p in self.patterns)
+
+
+def _basis(demand: dict[int, int], lengths: np.ndarray, sequence: int) -> np.ndarray:
+    """Columns of the fractional greedy filling: each uses up a length that no later one has."""
     place = {int(x): i for i, x in enumerate(lengths)}
-    need = np.array([demand[int(x)] for x in lengths], float)
-    start, held = greedy(demand, sequence), {}
-    # Each of these uses up a length that no later one has: a basis, triangular by rows.
-    columns = np.eye(len(lengths))
+    columns, held = np.eye(len(lengths)), {}
     for pattern in greedy(demand, sequence, whole=False):
         for length, count in pattern.items:
             held[length] = held.get(length, 0.0) + count * pattern.copies
         for length, _ in pattern.items:
             i = place[length]
-            if held[length] >= need[i] * (1 - 1e-12):
+            if held[length] >= demand[length] * (1 - 1e-12):
                 columns[:, i] = 0
                 for other, n in pattern.items:
                     columns[place[other], i] = n
                 break
-    basis = columns
-    try:
-        inverse = np.linalg.inv(basis)
-    except np.linalg.LinAlgError:
-        return start
-    level = inverse @ need
-    if level.min() < -1e-6:
-        return start
-    floor = float((lengths * need).sum()) / sequence
-    for step in range(MOST_COLUMNS):
+    return columns
+
+
+def relax(demand: dict[int, int], sequence: int = SEQUENCE) -> tuple[np.ndarray, np.ndarray, float, int]:
+    """(basis, level of each column, lower bound, columns priced in) of the linear program.
+
+    Each round the knapsack prices the best column for every length; of those
+    that save, the best of all and an even spread enter in turn, the one
+    that saves most first.  It ends where no column saves, where the bound shows that
+    no whole sequence is left to save, or within ``TOLERANCE`` of the bound.
+    """
+    lengths = np.array(sorted(demand))
+    need = np.array([demand[int(x)] for x in lengths], float)
+    basis = _basis(demand, lengths, sequence)
+    rng = np.random.default_rng(3)
+    # Demands that differ a little keep steps from being empty.
+    moved = need * (1 + 1e-6 * rng.random(len(need)))
+    inverse = np.linalg.inv(basis)
+    level, bound, entered = inverse @ moved, float(lengths @ need) / sequence, 0
+    while True:
         prices = inverse.sum(0)
-        value, column = best_column(prices, lengths, sequence)
-        total = level.sum()
-        bound = max(floor, total / value)
-        if value <= 1 + 1e-9 or total <= (1 + GAP) * bound or np.ceil(total - 1e-6) <= np.ceil(bound - 1e-6):
+        packed = Knapsack(prices, lengths, sequence)
+        bound = max(bound, float(prices @ need) / max(packed.value[sequence], 1.0))
+        total = float(prices @ need)
+        saving = np.flatnonzero(packed.with_first > 1 + 1e-9)
+        if not len(saving) or np.ceil(total - 1e-6) <= np.ceil(bound - 1e-6) or total <= (1 + TOLERANCE) * bound:
             break
-        move = inverse @ column
-        with np.errstate(divide="ignore", invalid="ignore"):
-            ratio = np.where(move > 1e-9, np.maximum(level, 0) / move, np.inf)
-        out = int(np.argmin(ratio))
-        if not np.isfinite(ratio[out]):
+        if len(saving) > OFFERED:
+            top = saving[np.argsort(-packed.with_first[saving], kind="stable")[:8]]
+            saving = np.concatenate([top, rng.choice(saving, OFFERED - 8, replace=False)])
+        offered = np.unique(packed.columns(saving), axis=0)
+        moves = inverse @ offered.T
+        before = entered
+        while True:
+            saved = moves.sum(0) - 1
+            with np.errstate(divide="ignore", invalid="ignore"):
+                ratios = np.where(moves > 1e-7, np.maximum(level, 0)[:, None] / moves, np.inf)
+            outs = ratios.argmin(0)
+            steps = ratios[outs, np.arange(len(offered))]
+            able = (saved > 1e-9) & np.isfinite(steps)
+            if not able.any():
+                break
+            k = int(np.where(able, np.where(able, saved, 0) * np.where(able, steps, 0), -1).argmax())
+            move, out = moves[:, k].copy(), int(outs[k])
+            basis[:, out] = offered[k]
+            level -= steps[k] * move
+            level[out] = steps[k]
+            touched = np.flatnonzero(np.abs(move) > 1e-12)
+            for table in (inverse, moves):
+                row = table[out] / move[out]
+                table[touched] -= move[touched, None] * row
+                table[out] = row
+            entered += 1
+            if entered % 500 == 0:
+                inverse = np.linalg.inv(basis)
+                level, moves = inverse @ moved, inverse @ offered.T
+        if entered == before:
             break
-        basis[:, out] = column
-        level -= ratio[out] * move
-        level[out] = ratio[out]
-        if step % 100 == 99:
-            inverse = np.linalg.inv(basis)
-            level = inverse @ need
-        else:
-            row = inverse[out] / move[out]
-            inverse -= np.outer(move, row)
-            inverse[out] = row
+    return basis, np.linalg.solve(basis, need), bound, entered
+
+
+def solve(demand: dict[int, int], sequence: int = SEQUENCE) -> Plan:
+    """Patterns that use every piece once: column generation, levels rounded down, the rest filled greedily.
+
+    Levels of at most one column for each length are rounded, so at most so
+    many sequences come on top of the linear program; the plain greedy filling
+    is taken where it needs fewer.
+    """
+    demand = {k: int(v) for k, v in demand.items() if v > 0}
+    if not demand:
+        return Plan([], 0.0, 0.0, 0)
+    lengths = np.array(sorted(demand))
+    basis, level, bound, entered = relax(demand, sequence)
     rest = dict(demand)
     rounded = []
     for j in np.argsort(-level):
         items = [(int(lengths[i]), int(basis[i, j])) for i in np.flatnonzero(basis[:, j] > 0.5)[::-1]]
-        copies = min([int(np.floor(level[j] + 1e-9)), *(rest[a] // b for a, b in items)])
+        copies = min([int(np.floor(level[j] + 1e-6)), *(rest[a] // b for a, b in items)])
         if copies > 0:
             rounded.append(Pattern(tuple(items), copies))
             for a, b in items:
                 rest[a] -= b * copies
     both = rounded + greedy({a: n for a, n in rest.items() if n}, sequence)
-    return min(both, start, key=lambda own: sum(p.copies for p in own))
+    best = min(both, greedy(demand, sequence), key=lambda own: sum(p.copies for p in own))
+    return Plan(best, float(level.sum()), bound, entered)
 
 
 def places(patterns: list[Pattern]) -> list[tuple[int, int, int, int, int, int]]:
@@ -208,11 +273,9 @@ def pack(found: DataFrame, sequence: int = SEQUENCE, group_rows: int = GROUP_ROW
     """``found`` pieces with ``sequence_id`` and ``offset``; ``found`` should be a written table, it is read three times."""
     spark = found.sparkSession
     histogram = {r["length"]: r["n"] for r in found.groupBy("length").agg(F.count("*").alias("n")).collect()}
-    plan = places(solve(histogram, sequence))
-    groups = F.lit(1)
-    for length, n in histogram.items():
-        if n > group_rows:
-            groups = F.when(F.col("length") == length, -(-n // group_rows)).otherwise(groups)
+    plan = places(solve(histogram, sequence).patterns)
+    group = max(1, min(group_rows, sum(histogram.values()) // GROUPS))
+    groups = F.get(F.lit([-(-histogram.get(x, 1) // group) for x in range(sequence + 1)]), F.col("length").cast("int"))
     salted = found.withColumn("__salt", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), groups))
     sizes = salted.groupBy("length", "__salt").agg(F.count("*").alias("__n"))
     before = Window.partitionBy("length").orderBy("__salt").rowsBetween(Window.unboundedPreceding, -1)

@@ -28,6 +28,7 @@ from sparsepairs.llm import (
     toxicity,
 )
 from sparsepairs.llm.batches import mix, text_bytes
+from sparsepairs.llm.tokens import encoder
 
 LONG = "lang wort " * 20_000
 TEXTS = [None, "", "   \n", "a", "same words stand in this row", "same words stand in this row", "ÄÖ ünï 日本 x", LONG]
@@ -501,14 +502,47 @@ def test_packing(spark, docs, edge):
 def test_cutting_stock_uses_every_piece(seed):
     r = np.random.default_rng(seed)
     demand = {int(x): int(r.integers(1, 30)) for x in r.choice(np.arange(1, 1025), 60, replace=False)}
-    patterns = packing.solve(demand)
+    check_plan(packing.solve(demand), demand)
+
+
+def check_plan(plan, demand):
     used = Counter()
-    for p in patterns:
+    for p in plan.patterns:
         assert sum(a * b for a, b in p.items) <= 1024
         for a, b in p.items:
             used[a] += b * p.copies
     assert used == demand
-    assert sum(p.copies for p in patterns) <= sum(p.copies for p in packing.greedy(demand))
+    assert plan.sequences <= sum(p.copies for p in packing.greedy(demand))
+    assert plan.bound - 1e-6 <= plan.lp_value <= plan.sequences + 1e-6
+    assert plan.sequences <= math.ceil(plan.lp_value) + len(demand)
+
+
+@pytest.mark.parametrize("size", ["sf0.001", "sf0.01", "sf0.1"])
+def test_columns_are_priced_in(size):
+    """On the histograms of the given tables the linear program is solved: columns enter, and the bound holds."""
+    encode = encoder().ids
+    demand = Counter()
+    for text in pq.read_table(f"/root/testdata/{size}/documents.parquet").column("text").to_pylist():
+        n = len(encode(text or "")) + 1
+        demand[1024] += n // 1024
+        demand[n % 1024] += 1
+    demand = {k: n for k, n in demand.items() if k and n}
+    plan = packing.solve(demand)
+    check_plan(plan, demand)
+    assert plan.columns > 100
+    close = math.ceil(plan.lp_value - 1e-6) <= math.ceil(plan.bound - 1e-6) or plan.lp_value <= (1 + packing.TOLERANCE) * plan.bound
+    assert close and plan.sequences <= math.ceil(plan.lp_value) + 2
+
+
+def test_knapsack_is_brute_force():
+    r = np.random.default_rng(9)
+    lengths, prices = np.array([3, 4, 7, 11]), r.random(4)
+    packed = packing.Knapsack(prices, lengths, 24)
+    ways = [np.array([a, b, c, d]) for a in range(9) for b in range(7) for c in range(4) for d in range(3) if a * 3 + b * 4 + c * 7 + d * 11 <= 24]
+    for room in range(25):
+        assert abs(packed.value[room] - max(w @ prices for w in ways if w @ lengths <= room)) < 1e-12
+    for i, column in enumerate(packed.columns(np.arange(4))):
+        assert column[i] >= 1 and column @ lengths <= 24 and abs(column @ prices - max(w @ prices for w in ways if w[i])) < 1e-12
 
 
 # ---- subword sampling
