@@ -181,20 +181,21 @@ def _scanner(phrases: dict[str, str], notices: dict[str, str]):
                 np.maximum.at(last, own, at - before[own])
                 for r in np.unique(own):
                     labels[r].add(label)
-            # One space for every run of other bytes; latin-1 keeps a byte per letter.
+            # One space for every run of other bytes; letters are code points.
             keep = _WORD[raw]
-            keep[starts[before[:-1][np.diff(before) > 0]]] = True
             gap = np.zeros(len(raw), bool)
             gap[ends[:-1][rows[1:] == rows[:-1]]] = True
             held = np.flatnonzero(keep | gap)
-            plain_bytes = np.where(keep[held], raw[held], np.uint8(0x20)).tobytes()
+            plain_bytes = np.where(keep[held], raw[held], np.uint8(0x20))
             cuts = np.searchsorted(held, off)
             notes = []
             for r in range(n):
                 places = []
                 if cuts[r + 1] > cuts[r]:
-                    for notice, a, b, edits in fuzzy_places(plain_bytes[cuts[r] : cuts[r + 1]].decode("latin-1"), machine, checks):
-                        span = held[cuts[r] + a] , held[cuts[r] + b - 1] + 1
+                    own = plain_bytes[cuts[r] : cuts[r + 1]]
+                    letters = np.append(np.flatnonzero((own & 0xC0) != 0x80), len(own))
+                    for notice, a, b, edits in fuzzy_places(own.tobytes().decode("utf-8", "replace"), machine, checks):
+                        span = held[cuts[r] + letters[a]], held[cuts[r] + letters[b] - 1] + 1
                         begin, stop = (int(np.count_nonzero((raw[off[r] : x] & 0xC0) != 0x80)) for x in span)
                         places.append({"label": notice.label, "start": begin, "stop": stop, "edits": edits, "score": max(0.0, 1 - edits / len(notice.text))})
                 notes.append(places)
