@@ -16,8 +16,9 @@ hash (about n^2 / 2^65 expected clashes among n sets).
 
 Defined cases: null and empty texts and texts without words have no set; each
 is a class of its own without links; very long texts count whole; repeated
-rows and ids give a row each; extra columns are ignored; empty tables give no
-rows.
+rows and ids give a row each, also where one id has several texts; rows without
+an id are compared like others, their class takes its smallest known id (null
+if it has none); extra columns are ignored; empty tables give no rows.
 """
 
 from __future__ import annotations
@@ -54,7 +55,7 @@ _ODD = _RNG.integers(0, 2**32, COORDINATES, dtype=np.uint32) | np.uint32(1)
 _XOR = _RNG.integers(0, 2**32, COORDINATES, dtype=np.uint32)
 _CHAIN = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63], np.uint64)
 
-SETS = fields(doc_id=pa.int64(), name=pa.int64(), n=pa.int64(), sample=pa.binary())
+SETS = fields(doc_id=pa.int64(), text_key=pa.int64(), name=pa.int64(), n=pa.int64(), sample=pa.binary())
 NODES = fields(node=pa.int64(), name=pa.int64())
 CHILDREN = fields(parent=pa.int64(), node=pa.int64(), name=pa.int64())
 EDGES = fields(a=pa.int64(), b=pa.int64())
@@ -107,6 +108,7 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays(
             [
                 batch.column("doc_id").cast(pa.int64()),
+                batch.column("text_key"),
                 pa.array([set_name(s) if len(s) else None for s in found], pa.int64()),
                 pa.array([len(s) for s in found], pa.int64()),
                 pa.array([sample_of(s).astype("<u4").tobytes() if len(s) else None for s in found], pa.binary()),
@@ -393,24 +395,33 @@ def _likely(rows: DataFrame, held: DataFrame, key: str) -> DataFrame:
     return out.where(F.col("__bits").bitwiseAND(F.col("__bit")) != 0).select(*rows.columns)
 
 
-def classes(docs: DataFrame, similarity: tuple[int, int] = (4, 5), recall: float = RECALL) -> DataFrame:
-    """doc_id, class_id (smallest id of the class) and n_links of every document.
+def keyed(docs: DataFrame) -> DataFrame:
+    """doc_id, a hash of the text that tells the texts of one id apart, and the text."""
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_key"), "text")
+
+
+def members(docs: DataFrame, similarity: tuple[int, int] = (4, 5), recall: float = RECALL) -> DataFrame:
+    """doc_id, text_key, component, class_id, n_links of every row; the component is null without a set.
 
     ``similarity`` is a fraction; a link joins documents of at least that
     Jaccard similarity, copies included.
     """
     numerator, denominator = similarity
     share = numerator / denominator
-    sets = shared.written(docs.select("doc_id", "text").mapInArrow(_sets, spark_schema(SETS)), "sets")
+    sets = shared.written(keyed(docs).mapInArrow(_sets, spark_schema(SETS)), "sets")
     known = sets.where(F.col("name").isNotNull()).groupBy("name")
-    distinct = shared.written(known.agg(F.min("doc_id").alias("first"), F.count("*").alias("copies"), F.first("n").alias("n"), F.first("sample").alias("sample")), "distinct")
+    example = F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "text_key")).alias("example")
+    distinct = known.agg(F.min("doc_id").alias("first"), example, F.count("*").alias("copies"), F.first("n").alias("n"), F.first("sample").alias("sample"))
+    distinct = shared.written(distinct.select("name", "first", F.col("example.doc_id").alias("example"), F.col("example.text_key").alias("text_key"), "copies", "n", "sample"), "distinct")
     loose = components(candidates(distinct, share, recall))
-    held = loose.join(distinct.select(F.col("name").alias("id"), "first", "copies", "n"), "id")
-    held = shared.written(held.select(F.col("id").alias("name"), "component", "first", "copies", "n"), "held")
+    held = loose.join(distinct.select(F.col("name").alias("id"), "example", "text_key", "copies", "n"), "id")
+    held = shared.written(held.select(F.col("id").alias("name"), "component", "example", "text_key", "copies", "n"), "held")
     weights = held.groupBy("component").agg(F.sum("n").alias("weight"), F.count("*").alias("size"))
     parts = F.greatest(F.ceil(F.col("weight") / BLOCK_SHINGLES), F.ceil(F.col("size") / BLOCK_SETS)).cast("int")
-    whole_texts = _likely(docs.select(F.col("doc_id").cast("long").alias("first"), "text"), held, "first")
-    texts = whole_texts.join(held.select("first", "component", "name", "copies"), "first")
+    # One text for each set: rows that share id and text meet in one.
+    wanted = held.select("example", F.col("text_key").alias("__key"), "component", "name", "copies")
+    texts = _likely(keyed(docs), held, "text_key").join(wanted, (F.col("text_key") == F.col("__key")) & F.col("doc_id").eqNullSafe(F.col("example")))
+    texts = texts.select("component", "name", "copies", "text")
     whole = texts.mapInArrow(_whole, spark_schema(WHOLE)).join(weights.select("component", parts.alias("parts")), "component")
     side = F.pmod(F.xxhash64("name", F.lit(3)), F.col("parts")).cast("int")
     placed = whole.withColumn("side", side).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
@@ -422,7 +433,28 @@ def classes(docs: DataFrame, similarity: tuple[int, int] = (4, 5), recall: float
     named = distinct.select("name", "first", "copies").join(tight.withColumnRenamed("id", "name"), "name", "left").join(links, "name", "left")
     named = named.withColumn("component", F.coalesce("component", "name"))
     heads = named.groupBy("component").agg(F.min("first").alias("class_id"))
-    named = named.join(heads, "component").select("name", "class_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
+    named = named.join(heads, "component").select("name", "component", "class_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
     named = shared.written(named, "named")
-    out = sets.select("doc_id", "name").join(named, "name", "left")
-    return out.select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    out = sets.select("doc_id", "text_key", "name").join(named, "name", "left")
+    class_id = F.when(F.col("component").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id")
+    return out.select("doc_id", "text_key", "component", class_id, F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+
+
+def classes(docs: DataFrame, similarity: tuple[int, int] = (4, 5), recall: float = RECALL) -> DataFrame:
+    """doc_id, class_id (smallest id of the class) and n_links of every document."""
+    return members(docs, similarity, recall).select("doc_id", "class_id", "n_links")
+
+
+def without_copies(docs: DataFrame, similarity: tuple[int, int] = (4, 5), recall: float = RECALL) -> DataFrame:
+    """One row of each class, of the smallest id (then text hash), and all rows without a set; a repeated id and text stays once.
+
+    Removal is by id and text: another text of the same id stays.
+    """
+    found = members(docs, similarity, recall).where(F.col("component").isNotNull())
+    mine = F.struct(F.col("doc_id").isNull(), "doc_id", "text_key")
+    heads = shared.written(found.groupBy("component").agg(F.min(mine).alias("head")).select(F.col("head.doc_id").alias("__id"), F.col("head.text_key").alias("__key")), "heads")
+    gone = found.select(F.col("doc_id").alias("__id"), F.col("text_key").alias("__key")).distinct()
+    gone = shared.written(gone.join(heads.withColumnsRenamed({"__id": "__i", "__key": "__k"}), F.col("__id").eqNullSafe(F.col("__i")) & (F.col("__key") == F.col("__k")), "left_anti"), "gone")
+    key = F.xxhash64("text")
+    kept = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("__id")) & (key == F.col("__key")), "left_anti")
+    return kept.dropDuplicates(["doc_id", "text"])
