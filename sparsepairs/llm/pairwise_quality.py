@@ -1,8 +1,8 @@
 """Quality classifier: Bradley-Terry scores from preference pairs.
 
 Every labelled good document is preferred to every labelled bad one.  The
-weights minimise the logistic loss of the feature differences over sampled
-pairs, with a ridge.  A score quantile of the training rows is the threshold;
+weights minimise the logistic loss of the feature differences over pairs, in
+which every labelled row meets ``OPPONENTS`` of the other class, with a ridge.  A score quantile of the training rows is the threshold;
 the published score is a logistic curve that takes ``CUT`` there.
 
 Defined cases: no pair (one class only) gives the score 0.5 to all; null and
@@ -20,9 +20,9 @@ from pyspark.sql import functions as F
 
 from . import text_stats
 
-#: Bounds of the labelled rows that are collected, and of the pairs drawn from them.
+#: Bound of the labelled rows that are collected, and the rows of the other class that each one meets.
 MOST_LABELLED = 20_000
-MOST_PAIRS = 60_000
+OPPONENTS = 4
 #: The published score at the threshold.
 CUT = 0.3
 KNOT_QUANTILES = (0.5, 0.8, 0.9, 0.95)
@@ -74,8 +74,10 @@ def train(rows: np.ndarray, good: np.ndarray, names: list[str], seed: int = 7, r
     scale[scale < 1e-9] = 1.0
     z = (x - x.mean(0)) / scale
     rng = np.random.default_rng(seed)
-    pairs = min(MOST_PAIRS, len(win) * len(lose))
-    d = z[rng.choice(win, pairs)] - z[rng.choice(lose, pairs)]
+    pairs = OPPONENTS * len(z)
+    better = np.concatenate([np.repeat(win, OPPONENTS), rng.choice(win, OPPONENTS * len(lose))])
+    worse = np.concatenate([rng.choice(lose, OPPONENTS * len(win)), np.repeat(lose, OPPONENTS)])
+    d = z[better] - z[worse]
     w = np.zeros(z.shape[1])
     for _ in range(steps):
         p = 1 / (1 + np.exp(np.clip(d @ w, -30, 30)))
