@@ -10,8 +10,8 @@ with integer scores and the local answers are merged.
 
 A group with many vectors is split into salted parts, and queries go to each
 of them.  Defined cases: null vectors, vectors with null or non-finite
-components, null ids and vectors of another length than most take no part;
-repeated ids count as one with its best score and never answer themselves;
+components and null ids take no part; shorter vectors count as ending in zeros,
+empty ones as zeros alone; repeated ids count as one with its best score and never answer themselves;
 ties go to the smaller id; a zero query reaches every group; fewer vectors than k give all; an empty table gives
 no rows; extra columns are ignored.
 """
@@ -183,13 +183,13 @@ def knn_join(vectors: DataFrame, is_query: Column, k: int = 5, pivots: int = PIV
     spark = vectors.sparkSession
     own = scaled(vectors, scale)
     sizes = own.groupBy(F.size("x").alias("dim")).agg(F.count("*").alias("n"), F.max(F.aggregate("x", F.lit(0).cast("long"), lambda a, v: a + v * v)).alias("square"))
-    most = sizes.where("dim > 0").orderBy(F.desc("n"), "dim").limit(1).collect()
-    answer = "query_id long, rank int, vec_id long, score long"
-    if not most:
-        return spark.createDataFrame([], answer)
-    own = own.where(F.size("x") == most[0]["dim"])
+    whole = sizes.agg(F.max("dim").alias("dim"), F.max("square").alias("square")).first()
+    if whole["dim"] is None:
+        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
+    dim = max(whole["dim"], 1)
+    own = own.select("vec_id", F.when(F.size("x") < dim, F.concat("x", F.array_repeat(F.lit(0).cast("long"), dim - F.size("x")))).otherwise(F.col("x")).alias("x"))
     picked = own.orderBy(F.xxhash64("vec_id"), "vec_id").limit(pivots).collect()
-    space = Space(np.array([r["x"] for r in picked], np.int64), most[0]["square"])
+    space = Space(np.array([r["x"] for r in picked], np.int64), whole["square"])
     chunks = shared.written(own.mapInArrow(_chunker(space), spark_schema(CHUNKS)), "knn-chunks")
     groups = {r["cell"]: r for r in chunks.groupBy("cell").agg(F.sum("n").alias("n"), F.max("far").alias("far"), F.min("near").alias("near")).collect()}
     # At most k + 1 distances for each pivot are gathered, and none counts for two rows of one id.
