@@ -3,6 +3,7 @@
 import hashlib
 import math
 import re
+import unicodedata
 import zlib
 from collections import Counter, defaultdict
 
@@ -116,6 +117,19 @@ def test_fuzzy_notices_at_word_ends_and_side_by_side():
     assert [x[1] for x in find(" ".join(texts))] == texts
 
 
+def test_edits_are_letters(spark):
+    """Letters of several bytes are one edit each, and spans are code points of the text."""
+    texts = ["released ünder the mit license", "é released ündér thé mit license!", "日本 Released\nunder, the MIT licençe 日本", "released ündér thé mít license"]
+    got = {r["doc_id"]: r["notices"] for r in license_scan.scan_licenses(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    notice = "released under the mit license"
+    for i, text in enumerate(texts[:3]):
+        (n,) = [x for x in got[i] if x["label"] == "mit"]
+        span = text[n["start"] : n["stop"]]
+        assert n["edits"] == edit_distance(notice, " ".join(re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", span.lower()))) <= 3
+    assert [x["edits"] for i in (0, 1, 2) for x in got[i]] == [1, 3, 1]
+    assert not got[3]
+
+
 @pytest.mark.parametrize("seed", range(4))
 def test_fuzzy_places_are_brute_force(seed):
     import random
@@ -137,6 +151,43 @@ def test_fuzzy_places_are_brute_force(seed):
                 assert e > n.edits or any(a < d and c < b and f <= e for (c, d), f in own.items()), (text, a, b, e)
 
 
+def test_license_labels_and_scores_are_brute_force(spark, docs, sf):
+    """Labels and score of every row, from the edit distance of all whole-word spans of all documents."""
+    lower = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    plain = [" ".join(re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", t.translate(lower))) for t in docs.text]
+    widest = max(len(n) + max(1, len(n) // license_scan.LETTERS_PER_EDIT) for n in license_scan.NOTICES) + 1
+    starts, owner = [], []
+    for i, t in enumerate(plain):
+        at = [0, *(j + 1 for j, c in enumerate(t) if c == " ")] if t else []
+        starts += [t[a : a + widest].ljust(widest + 1, "\0") for a in at]
+        owner += [i] * len(at)
+    letters = np.frombuffer("".join(starts).encode("utf-32-le"), "<u4").reshape(len(starts), -1)
+    owner = np.array(owner)
+    inside = (letters != 32) & (letters != 0)
+    found = defaultdict(dict)
+    for notice, label in license_scan.NOTICES.items():
+        most = max(1, len(notice) // license_scan.LETTERS_PER_EDIT)
+        width = len(notice) + most
+        row = [np.full(len(letters), j, np.int8) for j in range(width + 1)]
+        for i, c in enumerate(notice, 1):
+            last, row = row, [np.full(len(letters), i, np.int8)]
+            for j in range(1, width + 1):
+                row.append(np.minimum(np.minimum(last[j], row[-1]) + 1, last[j - 1] + (letters[:, j - 1] != ord(c))).astype(np.int8))
+        for j in range(1, width + 1):
+            hit = np.flatnonzero((row[j] <= most) & inside[:, j - 1] & ~inside[:, j])
+            for x in hit:
+                e = int(row[j][x])
+                found[owner[x]][notice] = min(e, found[owner[x]].get(notice, e))
+    assert found
+    got = {r["doc_id"]: r for r in registry.op1_license_scan(spark, sf).collect()}
+    for i, doc_id in enumerate(docs.doc_id):
+        r = got[doc_id]
+        labels = set(filter(None, r["base_labels"].split(","))) | {license_scan.NOTICES[n] for n in found[i]}
+        assert r["labels"] == ",".join(sorted(labels))
+        best = max((1 - e / len(n) for n, e in found[i].items()), default=0.0)
+        assert abs(r["score"] - (1.0 if r["n_base"] else best)) < 1e-12
+
+
 # ---- secrets
 
 
@@ -159,6 +210,40 @@ def test_secret_base_is_brute_force(spark, sf, docs):
         assert digest[i] == hashlib.sha256(",".join(f"{k}:{a}:{b}" for k, a, b in brute_secrets(text)).encode()).hexdigest()
 
 
+def test_entropy_spans_are_brute_force(spark, sf, docs):
+    """All spans of the query's rows: windows counted from scratch."""
+    r = np.random.default_rng(6)
+    letters = np.array(list("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_-="))
+    words = ["".join(r.choice(letters[: int(r.integers(4, len(letters)))] if r.random() < 0.5 else letters[::-1], int(r.integers(15, 70)))) for _ in range(400)]
+    planted = ["é ".join([*words[i : i + 8], "token: " + words[i], "example" + words[i + 1]]) for i in range(0, 400, 8)]
+    rows = [*zip(docs.doc_id.tolist(), docs.text, strict=True), *((90_000 + i, t) for i, t in enumerate(planted))]
+    found = secret_scan.scan_secrets(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    got = {x["doc_id"]: ",".join(f"{y['kind']}:{y['start']}:{y['stop']}" for y in x["spans"]) for x in found}
+    query = {x["doc_id"]: x["spans"] for x in registry.op8_secret_scan(spark, sf).collect()}
+    n, some = secret_scan.WINDOW, 0
+    for i, text in rows:
+        assert query.get(i, got[i]) == got[i]
+        base, spans = brute_secrets(text), []
+        for m in re.finditer("[" + re.escape(bytes(np.flatnonzero(secret_scan._CANDIDATE).astype(np.uint8)).decode("ascii")) + "]+", text):
+            word = m[0]
+            if len(word) < n or any(x in word.lower() for x in secret_scan.ALLOWED) or sum(c in "0123456789" for c in word) < 3 or sum(c.isascii() and c.isalpha() for c in word) < 3:
+                continue
+            kind = "hex" if set(word) <= set("0123456789abcdef") or set(word) <= set("0123456789ABCDEF") else "mixed"
+            own = []
+            for a in range(len(word) - n + 1):
+                bits = -sum(c / n * math.log2(c / n) for c in Counter(word[a : a + n]).values())
+                if bits >= secret_scan.THRESHOLDS[kind] - 1e-9:
+                    if own and a <= own[-1][1]:
+                        own[-1][1] = a + n
+                    else:
+                        own.append([a, a + n])
+            spans += [("entropy", m.start() + a, m.start() + b) for a, b in own if not any(x <= m.start() + a and m.start() + b <= y for _, x, y in base)]
+        some += len(spans)
+        both = sorted(base + spans, key=lambda x: (x[1], ["assign", "access", "hex", "entropy"].index(x[0]), x[2]))
+        assert got[i] == ",".join(f"{k}:{a}:{b}" for k, a, b in both)
+    assert some > 50
+
+
 def test_entropy_windows():
     word = b"gh7Kq2Lz9Xv4Bn8Wm3Tp6Rd"
     (start, stop, bits), *rest = secret_scan.entropy_spans(word)
@@ -194,6 +279,51 @@ def test_statistics_are_brute_force(spark, docs, edge):
         assert (r["n_words"], r["word_chars"], r["n_symbols"], r["n_dup_lines"], r["n_repeat_words"]) == want
 
 
+def brute_features(text):
+    w = re.findall(r"[^\x20\x09-\x0D]+", text)
+    lines = [x for x in text.split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
+    seen = Counter(zip(w, w[1:], w[2:]))
+    again = len({j + o for j in range(len(w) - 2) if seen[w[j], w[j + 1], w[j + 2]] > 1 for o in range(3)})
+    chars, capitals = sum(map(len, w)), sum(unicodedata.category(c) == "Lu" for c in text)
+    part = lambda a, b: a / max(b, 1)
+    shares = {
+        "log_words": math.log1p(len(w)), "word_length": part(chars, len(w)), "symbol_share": part(len(re.findall(r"[#*$%&|<>]", text)), len(w)), "bar_share": part(text.count("|"), len(w)),
+        "mark_share": part(text.count("!"), len(w)), "capital_share": part(capitals, chars), "dup_line_share": part(len(lines) - len(set(lines)), len(lines)), "repeat_share": part(again, len(w)),
+    }
+    return len(w), again, shares
+
+
+@pytest.mark.parametrize("size", ["sf0.001", "sf0.01"])
+def test_verdicts_and_scores_are_brute_force(spark, size):
+    """``base_failed`` and ``kept`` of the rules, and the pairwise score, of every row, by plain evaluation."""
+    sf = f"/root/testdata/{size}"
+    whole, labels = (spark.read.parquet(f"{sf}/{x}.parquet") for x in ("documents", "labels"))
+    rules, scorer = decision_list.fit(whole, labels), pairwise_quality.fit(whole, labels)
+    verdicts = {r["doc_id"]: r for r in registry.op7_decision_list(spark, sf).collect()}
+    scored = {r["doc_id"]: r for r in registry.op9_pairwise_quality(spark, sf).collect()}
+    assert rules and scorer.hinges
+    near = 0
+    for r in whole.select("doc_id", "text").collect():
+        n, again, shares = brute_features(r["text"] or "")
+        failed = n < 50 or 100 * again > 50 * n
+        rejected = any(all((shares[c.feature] > c.value) == c.above for c in rule.conditions) for rule in rules)
+        assert (verdicts[r["doc_id"]]["base_failed"], verdicts[r["doc_id"]]["kept"]) == (failed, not failed and not rejected)
+        raw = sum(w * (shares[f] if k is None else max(shares[f] - k, 0)) for (f, k), w in zip(scorer.hinges, scorer.weights, strict=True))
+        want = 1 / (1 + math.exp(-max(-30, min(30, scorer.steepness * (raw - scorer.threshold) + math.log(0.3 / 0.7)))))
+        got = scored[r["doc_id"]]
+        assert abs(got["score"] - want) < 1e-9 and got["predicted"] == int(got["score"] >= 0.3)
+        near += failed
+    assert near
+
+
+def test_every_labelled_row_meets_opponents():
+    r = np.random.default_rng(12)
+    x = np.concatenate([r.normal(size=(9_000, 2)), r.normal(size=(3, 2)) + 6])
+    s = pairwise_quality.train(x, np.arange(len(x)) < 9_000, ["a", "b"])
+    raw = sum(w * (x[:, "ab".index(n)] if k is None else np.maximum(x[:, "ab".index(n)] - k, 0)) for (n, k), w in zip(s.hinges, s.weights, strict=True))
+    assert raw[-3:].max() < raw[:9_000].min()
+
+
 def test_decision_list_finds_planted_rules():
     r = np.random.default_rng(1)
     x = r.random((3000, 3))
@@ -348,6 +478,22 @@ def test_near_duplicates_are_brute_force(spark, docs):
     assert got == brute_classes(rows)
 
 
+def test_null_and_repeated_ids_are_compared(spark):
+    """Rows without an id and several texts of one id lose no link and no row."""
+    base = [f"w{i}" for i in range(60)]
+    text = lambda i: " ".join(w if j != i else "x" for j, w in enumerate(base))
+    other = " ".join(f"o{i}" for i in range(30))
+    rows = [(None, text(0)), (None, text(1)), (3, text(59)), (7, text(58)), (7, other), (7, other), (None, None), (None, "")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((r["doc_id"] or 0, r["class_id"] or 0, r["n_links"]) for r in near_duplicates.classes(df).collect())
+    assert got == [(0, 0, 0), (0, 0, 0), (0, 3, 3), (0, 3, 3), (3, 3, 3), (7, 3, 3), (7, 7, 1), (7, 7, 1)]
+    nameless = df.where("doc_id is null")
+    assert sorted(r["n_links"] for r in near_duplicates.classes(nameless).collect()) == [0, 0, 1, 1]
+    left = near_duplicates.without_copies(df.withColumn("component", F.lit(1)))
+    assert left.columns == ["doc_id", "text", "component"]
+    assert Counter((r["doc_id"], r["text"]) for r in left.collect()) == Counter([(3, text(59)), (7, other), (None, None), (None, "")])
+
+
 def test_large_buckets_are_parted(spark, monkeypatch):
     """With small bounds every branch runs: splitting, buckets that don't part, block pairs."""
     r = np.random.default_rng(4)
@@ -408,10 +554,24 @@ def test_knn_edges(spark):
     rows = [(0, [0.5, 0.5]), (1, [0.5, 0.5]), (2, [0.5, 0.5]), (2, [0.5, 0.5]), (3, None), (4, [nan, 1.0]), (5, [inf, 1.0]), (6, [None, 1.0]), (7, [0.1]), (8, [0.0, 0.0]), (None, [1.0, 1.0]), (9, [-1.0, 0.2])]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").withColumn("score", F.lit(1))
     got = [(r["rank"], r["vec_id"], r["score"]) for r in knn_join.knn_join(df, F.col("vec_id") == 0, 3).orderBy("rank").collect()]
-    assert got == [(1, 1, 2 * 128 * 128), (2, 2, 2 * 128 * 128), (3, 8, 0)]
+    # The short vector counts as (25, 0).
+    assert got == [(1, 1, 2 * 128 * 128), (2, 2, 2 * 128 * 128), (3, 7, 25 * 128)]
     assert knn_join.knn_join(df.limit(0), F.col("vec_id") == 0, 3).collect() == []
 
 
+def test_knn_of_unlike_lengths_is_the_sql(spark, tmp_path):
+    r = np.random.default_rng(8)
+    rows = [(i, r.normal(size=int(r.integers(0, 6))).astype(np.float32).tolist()) for i in range(60)] + [(60, []), (61, [0.5]), (None, [1.0]), (62, None), (63, [None, 1.0]), (64, [float("nan")])]
+    table = pa.table({"vec_id": pa.array([i for i, _ in rows], pa.int64()), "embedding": pa.array([v for _, v in rows], pa.list_(pa.float32()))})
+    pq.write_table(table, f"{tmp_path}/embeddings.parquet")
+    c = duckdb.connect()
+    c.sql(f"create view embeddings as select * from '{tmp_path}/embeddings.parquet'")
+    want = sorted(c.sql(registry.OP3_SQL).fetchall())
+    names = ["query_id", "rank", "vec_id", "score"]
+    got = sorted(tuple(x[n] for n in names) for x in registry.op3_knn_join(spark, str(tmp_path)).collect())
+    assert len(want) == 10 and got == want
+
+
 def test_knn_zero_query_among_other_norms(spark):
     # The smallest ids are long vectors in tight groups, far from the pole at which the zero vectors lie.
     r = np.random.default_rng(7)
@@ -462,6 +622,26 @@ def test_rollup_batches_are_idempotent(spark, tmp_path):
     assert r.commit("c", spark.createDataFrame([], schema)) and r.batches() == ["a", "b", "c"]
 
 
+def test_rollup_without_ids_and_compaction(spark, tmp_path, monkeypatch):
+    """Rows without an id are counted one by one; a compacted state gives the totals of the history."""
+    schema = "op string, doc_id long, source string, lang string, tokenizer string, n_tokens long"
+    changes = [
+        [("insert", None, "s", "en", "t", 5)] * 3 + [("insert", 1, "s", "en", "t", 7), ("insert", 2, "s", "de", "t", 1)],
+        [("delete", None, "s", "en", "t", 5), ("revise", None, "s", "en", "t", 50), ("revise", 1, "s", "en", "t", 8)],
+        [("delete", 2, "s", "de", "t", None)],
+        [("insert", 3, "s", "de", "t", 4), ("insert", None, None, None, None, None)],
+        [("revise", 3, "s", "fr", "t", 6), ("delete", 1, None, None, "t", None)],
+    ]
+    found = []
+    for every in (2, 100):
+        monkeypatch.setattr(token_rollup, "COMPACTED", every)
+        r = token_rollup.TokenRollup(spark, f"file://{tmp_path}/rollup-{every}")
+        for turn in range(2):
+            assert [r.commit(f"b{i}", spark.createDataFrame(x, schema)) for i, x in enumerate(changes)] == [not turn] * len(changes)
+        found.append(sorted((tuple(x) for x in r.totals().collect()), key=str))
+    assert found[0] == found[1] == sorted([("s", "en", "t", 3, 15), ("s", "fr", "t", 1, 6), (None, None, None, 1, 0)], key=str)
+
+
 def check_packing(rows, ids):
     by_doc, by_seq = defaultdict(list), defaultdict(list)
     for r in rows:
@@ -687,6 +867,27 @@ def test_edges(spark, edge, sf):
     for name, f in operators.items():
         assert f(edge).count() == edge.count(), name
         assert f(empty_like(edge)).count() == 0, name
+    rows = {name: [r.asDict() for r in f(edge).collect()] for name, f in operators.items()}
+    by_id = {name: defaultdict(list) for name in rows}
+    for name, own in rows.items():
+        for r in own:
+            by_id[name][r["doc_id"]].append(r)
+    for name, own in by_id.items():
+        # Repeated rows give equal rows; null and empty texts are alike.
+        assert len(own[4]) == 2 and own[4][0] == own[4][1], name
+        if name not in ("mask", "classes", "counts"):
+            plain = [{k: v for k, v in own[i][0].items() if k not in ("doc_id", "text", "perturbed")} for i in (0, 1)]
+            assert plain[0] == plain[1], name
+        assert len(own[None]) == 1, name
+    assert [by_id["license"][0][0][k] for k in ("n_words", "n_base", "first_word", "base_labels", "notices")] == [0, 0, None, [], []]
+    assert by_id["secrets"][0][0]["spans"] == [] and by_id["mask"][0][0]["text"] is None and by_id["mask"][1][0]["text"] == ""
+    assert [by_id["rules"][0][0][k] for k in ("n_words", "base_failed", "kept")] == [0, True, False]
+    assert by_id["rules"][7][0]["n_words"] == 40_000 and by_id["license"][7][0]["n_words"] == 40_000
+    assert [by_id["samples"][i][0]["n_pieces"] for i in (0, 1)] == [0, 0] and by_id["samples"][7][0]["decodes"]
+    assert [by_id["counts"][i][0]["n_tokens"] for i in (0, 1)] == [0, 0]
+    assert [(r["class_id"], r["n_links"]) for r in by_id["classes"][4] + by_id["classes"][5]] == [(4, 2)] * 3
+    assert [by_id["classes"][i][0]["n_links"] for i in (0, 1, 2, None)] == [0] * 4
+    assert by_id["toxic"][0][0]["score"] == by_id["toxic"][2][0]["score"]
     none = pairwise_quality.fit(empty_like(whole), labels)
     assert pairwise_quality.score(edge, none).select("score").distinct().collect()[0][0] == 0.5
     assert decision_list.fit(empty_like(whole), labels) == []
