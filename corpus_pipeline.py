@@ -31,11 +31,8 @@ def toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, of the smallest id, from each class of near copies; a repeated row stays once."""
-    found = near_duplicates.classes(docs)
-    gone = found.where("doc_id != class_id").select(F.col("doc_id").alias("__gone")).distinct()
-    kept = docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
-    return kept.dropDuplicates(["doc_id", "text"])
+    """One document, of the smallest id, from each class of near copies; a repeated row stays once, another text of an id stays."""
+    return near_duplicates.without_copies(docs)
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
