@@ -35,8 +35,8 @@ from .tokens import END, encoder
 SEQUENCE = 1024
 #: Rows that one ranking task may hold, and groups into which smaller tables are dealt.
 GROUP_ROWS, GROUPS = 200_000, 4_096
-#: Relative tolerance of the linear program: five sequences in 100,000.
-TOLERANCE = 5e-5
+#: Relative tolerance of the linear program to its bound, and what so many rounds of pricing must save to go on.
+TOLERANCE, LEAST_SAVING, ROUNDS = 5e-5, 2e-5, 48
 #: Columns of one round of pricing.
 OFFERED = 96
 
@@ -177,7 +177,9 @@ def relax(demand: dict[int, int], sequence: int = SEQUENCE) -> tuple[np.ndarray,
     Each round the knapsack prices the best column for every length; of those
     that save, the best of all and an even spread enter in turn, the one
     that saves most first.  It ends where no column saves, where the bound shows that
-    no whole sequence is left to save, or within ``TOLERANCE`` of the bound.
+    no whole sequence is left to save, within ``TOLERANCE`` of the bound, or
+    where ``ROUNDS`` rounds (more with fewer lengths) save less than ``LEAST_SAVING`` of all: near the end
+    most steps are small, and the bound of unsettled prices is weak.
     """
     lengths = np.array(sorted(demand))
     need = np.array([demand[int(x)] for x in lengths], float)
@@ -186,14 +188,18 @@ def relax(demand: dict[int, int], sequence: int = SEQUENCE) -> tuple[np.ndarray,
     # Demands that differ a little keep steps from being empty.
     moved = need * (1 + 1e-6 * rng.random(len(need)))
     inverse = np.linalg.inv(basis)
-    level, bound, entered = inverse @ moved, float(lengths @ need) / sequence, 0
+    level, bound, entered, totals = inverse @ moved, float(lengths @ need) / sequence, 0, []
+    # Few lengths take cheap rounds, but as many of them.
+    rounds = ROUNDS * sequence // len(lengths)
     while True:
         prices = inverse.sum(0)
         packed = Knapsack(prices, lengths, sequence)
         bound = max(bound, float(prices @ need) / max(packed.value[sequence], 1.0))
         total = float(prices @ need)
+        totals.append(total)
+        stuck = len(totals) > rounds and totals[-1 - rounds] - total < LEAST_SAVING * total
         saving = np.flatnonzero(packed.with_first > 1 + 1e-9)
-        if not len(saving) or np.ceil(total - 1e-6) <= np.ceil(bound - 1e-6) or total <= (1 + TOLERANCE) * bound:
+        if stuck or not len(saving) or np.ceil(total - 1e-6) <= np.ceil(bound - 1e-6) or total <= (1 + TOLERANCE) * bound:
             break
         if len(saving) > OFFERED:
             top = saving[np.argsort(-packed.with_first[saving], kind="stable")[:8]]
