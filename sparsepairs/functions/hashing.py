@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import zlib
 from dataclasses import dataclass
 
 import numpy as np
@@ -78,10 +79,19 @@ def pair_hash(x: Column, y: Column, family: str = "mix63") -> Column:
 
 
 def lookup_table(values: DataFrame, column: str, seed: str) -> DataFrame:
-    """Stored random bits: each distinct value with 60 bits of its own, to be written once and joined."""
+    """Each distinct value with 60 bits that any engine can compute, to be written once and joined."""
     return values.select(column).distinct().withColumn("bits", MD5_60.hash(F.col(column), seed))
 
 
+def drawn_table(values: DataFrame, column: str, seed: str, path: str) -> DataFrame:
+    """Each distinct value with 60 random bits, drawn once and stored under ``path``: all readers see the same draw."""
+    number = zlib.crc32(seed.encode())
+    bits = lambda n: F.floor(F.rand(n) * float(2**30)).cast("long")
+    rows = values.select(column).distinct()
+    rows.select(column, (bits(number) * 2**30 + bits(number ^ 0x5BD1E995)).alias("bits")).write.parquet(path)
+    return values.sparkSession.read.parquet(path)
+
+
 def _affine_arrays(value: np.ndarray, alpha: int, beta: int) -> np.ndarray:
     """alpha * value + beta modulo 2^61 - 1 by 32-bit limbs; values lie in [0, 2^61 - 1)."""
     p = np.uint64(PRIME)

@@ -20,6 +20,7 @@ from pyspark.sql import functions as F
 from ..functions.bounds import eps_for, k_for
 from ..functions.hashing import FAMILIES
 from .relations import Rel, work
+from .scan import BLOCK_PAIRS, BottomK, scan_hits
 
 POLICIES = ("printed", "doubled", "inverse_k", "one", "fixed")
 STRATEGIES = ("cells", "sweep", "grouped", "full")
@@ -123,101 +124,85 @@ def hits_by_cell(left: DataFrame, right: DataFrame, spec: Spec, p: float) -> Dat
     """
     domain = FAMILIES[spec.family].domain
     t = as_threshold(p, domain)
+    if cells_for(p, domain)[0] == 1:
+        return _residual(left.join(right, "jk"), spec, t)
+    l2, r2 = in_cells(left, right, domain, p)
+    return _residual(l2.join(r2, ["jk", "cell"]), spec, t)
+
+
+def in_cells(left: DataFrame, right: DataFrame, domain: int, p: float) -> tuple[DataFrame, DataFrame]:
+    """Both sides with the cells in which they meet; right rows stand in their own and the next."""
     cells, width = cells_for(p, domain)
     if cells == 1:
-        return _residual(left.join(right, "jk"), spec, t)
+        return left.withColumn("cell", F.lit(0)), right.withColumn("cell", F.lit(0))
     power = not domain & (domain - 1)
     cell = lambda c: F.shiftright(c, width.bit_length() - 1) if power else F.expr(f"{c} div {width}")
     both = F.array(F.col("own"), F.pmod(F.col("own") + 1, F.lit(cells)))
-    l2 = left.withColumn("cell", cell("x_h"))
-    r2 = right.withColumn("own", cell("y_h")).select("jk", "y_h", F.explode(both).alias("cell"))
-    return _residual(l2.join(r2, ["jk", "cell"]), spec, t)
+    return left.withColumn("cell", cell("x_h")), right.withColumn("own", cell("y_h")).select("jk", "y_h", F.explode(both).alias("cell"))
 
 
 def probes(left: DataFrame, right: DataFrame, spec: Spec, p: float) -> DataFrame:
-    """The same join without the residual filter: what the cells make the engine look at."""
-    return hits_by_cell(left, right, spec, p) if p >= 1 else _probe(left, right, spec, p)
-
-
-def _probe(left: DataFrame, right: DataFrame, spec: Spec, p: float) -> DataFrame:
-    domain = FAMILIES[spec.family].domain
-    cells, width = cells_for(p, domain)
-    shift = width.bit_length() - 1
-    l2 = left.withColumn("cell", F.shiftright("x_h", shift))
-    own = F.shiftright("y_h", shift)
-    r2 = right.select("jk", "y_h", F.explode(F.array_distinct(F.array(own, F.pmod(own + 1, F.lit(cells))))).alias("cell"))
-    return l2.join(r2, ["jk", "cell"])
-
+    """(jk, x_h, y_h) that the cells make the engine look at: the join without its residual filter."""
+    l2, r2 = in_cells(left, right, FAMILIES[spec.family].domain, p)
+    return l2.join(r2, ["jk", "cell"]).select("jk", "x_h", "y_h")
 
-def hits_by_sweep(left: DataFrame, right: DataFrame, spec: Spec, p: float) -> DataFrame:
-    """One sort by (join value, hash), then running counts turn interval ends to positions.
 
-    Events are left rows and both ends of every right row's interval; the
-    number of left rows before an end is a position among the ranked left rows.
-    """
+def hits_by_sweep(left: DataFrame, right: DataFrame, spec: Spec, p: float, keep: int | None = None, how: str = "hash") -> DataFrame:
+    """One sort by (join value, cell, hash), then one forward scan in batches; with ``keep`` the threshold falls on the way."""
     domain = FAMILIES[spec.family].domain
-    t = as_threshold(p, domain)
-    if t >= domain:
-        return _residual(left.join(right, "jk"), spec, domain)
-    left = left.distinct()
-    end = F.pmod(F.col("y_h") + t, F.lit(domain))
-    events = (
-        left.select("jk", F.col("x_h").alias("h"), F.lit(1).alias("one"), F.lit(None).cast("long").alias("y_h"), F.lit(0).alias("kind"))
-        .unionByName(right.select("jk", F.col("y_h").alias("h"), F.lit(0).alias("one"), "y_h", F.lit(-2).alias("kind")))
-        .unionByName(right.select("jk", end.alias("h"), F.lit(0).alias("one"), "y_h", F.lit(-1).alias("kind")))
-    )
-    group = Window.partitionBy("jk")
-    run = group.orderBy("h", "kind").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    counted = events.select("jk", "h", "y_h", "kind", (F.sum("one").over(run) - F.col("one")).alias("pos"), F.sum("one").over(group).alias("size"))
-    ranked = counted.where("kind = 0").select("jk", F.col("h").alias("x_h"), "pos")
-    bounds = counted.where("kind < 0").groupBy("jk", "y_h", "size").agg(
-        F.max(F.when(F.col("kind") == -2, F.col("pos"))).alias("low"), F.max(F.when(F.col("kind") == -1, F.col("pos"))).alias("end")
-    )
-    high = F.col("end") + F.when(F.pmod(F.col("y_h") + t, F.lit(domain)) < F.col("y_h"), F.col("size")).otherwise(0)
-    spread = bounds.where((F.col("size") > 0) & (high > F.col("low"))).select("jk", "y_h", "size", F.explode(F.sequence(F.col("low"), high - 1)).alias("at"))
-    spread = spread.select("jk", "y_h", F.pmod("at", "size").alias("pos"))
-    return _residual(spread.join(ranked, ["jk", "pos"]), spec, t)
+    return scan_hits(left, right, spec.family, as_threshold(p, domain), *cells_for(p, domain), keep, how)
 
 
 def walk_group(x: np.ndarray, y: np.ndarray, t: int, domain: int) -> tuple[np.ndarray, np.ndarray, int, int]:
     """Pairs of one group below the threshold, by a cyclic run in the sorted left hashes.
 
-    Also the moves of the start cursor, which only goes forward and at most
-    twice round, and the pairs visited.  A run visits a left row once at most.
+    Also the moves of the start cursor, which only goes forward from the first
+    left row, and the pairs visited.  A run visits a left row once at most.
     """
     x, y = np.unique(x), np.unique(y)
     if not len(x) or not len(y):
         return np.zeros(0, np.int64), np.zeros(0, np.int64), 0, 0
     low = np.searchsorted(x, y, "left")
     if t >= domain:
-        return np.tile(x, len(y)), np.repeat(y, len(x)), int(len(x)), len(x) * len(y)
+        return np.tile(x, len(y)), np.repeat(y, len(x)), int(low[-1]), len(x) * len(y)
     end = y + t
     high = np.where(end < domain, np.searchsorted(x, np.minimum(end, domain - 1), "left"), len(x) + np.searchsorted(x, end - domain, "left"))
     count = np.maximum(high - low, 0)
     at = np.repeat(low, count) + np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
-    return x[at % len(x)], np.repeat(y, count), int(low[-1] - low[0]) + 1, int(count.sum())
+    return x[at % len(x)], np.repeat(y, count), int(low[-1]), int(count.sum())
+
 
+def hits_by_group(left: DataFrame, right: DataFrame, spec: Spec, p: float, keep: int | None = None) -> DataFrame:
+    """Group by group of (join value, cell) with sorted arrays, for groups that fit a worker.
 
-def hits_by_group(left: DataFrame, right: DataFrame, spec: Spec, p: float, counters: bool = False) -> DataFrame:
-    """Group by group with sorted arrays, for groups that fit a worker; or the counters of each group."""
+    With ``keep`` a task holds its kept set over all its groups, looks only at
+    pairs below its k-th, and gives no others.
+    """
     domain = FAMILIES[spec.family].domain
     t = as_threshold(p, domain)
     if domain > 2**62:
         raise ValueError("the grouped strategy needs a domain of at most 2^62")
-    k = spec.k
+    kept = BottomK(keep) if keep else None
 
     def run(key, a: pa.Table, b: pa.Table) -> pa.Table:
-        x, y, moves, visited = walk_group(a.column("x_h").to_numpy(), b.column("y_h").to_numpy(), t, domain)
-        if counters:
-            kept = BottomK(k)
-            kept.add_batch((x - y) & (domain - 1), x, y)
-            n = len(set(a.column("x_h").to_pylist()))
-            return pa.table({"left_rows": pa.array([n]), "right_rows": pa.array([len(set(b.column("y_h").to_pylist()))]), "moves": pa.array([moves]), "visited": pa.array([visited]), "selections": pa.array([kept.selections]), "inserts": pa.array([kept.inserts])})
-        return pa.table({"x_h": pa.array(x, pa.int64()), "y_h": pa.array(y, pa.int64())})
-
-    schema = "left_rows long, right_rows long, moves long, visited long, selections long, inserts long" if counters else "x_h long, y_h long"
-    out = left.groupBy("jk").cogroup(right.groupBy("jk")).applyInArrow(run, schema)
-    return out if counters else _residual(out, spec, t)
+        x, y = np.unique(a.column("x_h").to_numpy()), np.unique(b.column("y_h").to_numpy())
+        found = []
+        for part in np.array_split(y, max(1, int(len(x) * len(y) * min(1.0, 4 * t / domain) / BLOCK_PAIRS))):
+            px, py, _, _ = walk_group(x, part, min(t, kept.limit + 1) if kept else t, domain)
+            if kept:
+                kept.add_batch((px - py) % domain, px, py)
+            found.append((px, py))
+        px, py = (np.concatenate(c) for c in zip(*found, strict=True))
+        if kept:
+            low = (px - py) % domain <= kept.limit
+            px, py = px[low], py[low]
+        return pa.table({"x_h": pa.array(px, pa.int64()), "y_h": pa.array(py, pa.int64())})
+
+    l2, r2 = in_cells(left, right, domain, p)
+    # Names of their own, since the sides of a self-join share theirs.
+    r2 = r2.select(*[F.col(c).alias(c) for c in r2.columns])
+    out = l2.groupBy("jk", "cell").cogroup(r2.groupBy("jk", "cell")).applyInArrow(run, "x_h long, y_h long")
+    return _residual(out, spec, t)
 
 
 def hits_by_join(left: DataFrame, right: DataFrame, spec: Spec, p: float) -> DataFrame:
@@ -234,41 +219,6 @@ def hits(rel: Rel, spec: Spec, p: float | None = None, run: int | None = None) -
     return _BY[spec.strategy](*hashed(rel, spec, spec.seed if run is None else run), spec, p)
 
 
-class BottomK:
-    """The k smallest distinct pairs by a buffer and linear selection.
-
-    States merge: the union of two sets' states is the state of the union.
-    """
-
-    def __init__(self, k: int):
-        self.k, self.rows = k, np.zeros((0, 3), np.int64)
-        self.selections = self.inserts = 0
-
-    @property
-    def limit(self) -> int:
-        """Pairs from here on need not be looked at."""
-        return int(self.rows[-1, 0]) if len(self.rows) == self.k else 2**63 - 1
-
-    def add_batch(self, pair_h: np.ndarray, x_h: np.ndarray, y_h: np.ndarray) -> None:
-        low = pair_h <= self.limit
-        new = np.stack([pair_h[low], x_h[low], y_h[low]], 1)
-        if not len(new):
-            return
-        self.inserts += len(new)
-        if len(new) > 4 * self.k:
-            cut = np.partition(new[:, 0], 4 * self.k - 1)[4 * self.k - 1]
-            if len(np.unique(new[new[:, 0] <= cut], axis=0)) >= self.k:
-                new = new[new[:, 0] <= cut]
-        self.selections += 1
-        both = np.unique(np.concatenate([self.rows, new]), axis=0)
-        self.rows = both[: self.k]
-
-    def merge(self, other: BottomK) -> BottomK:
-        out = BottomK(self.k)
-        out.rows = np.unique(np.concatenate([self.rows, other.rows]), axis=0)[: self.k]
-        return out
-
-
 def _pruner(k: int, method: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept, heap, seen = BottomK(k), [], set()
@@ -313,24 +263,28 @@ def merge(a: DataFrame, b: DataFrame, k: int) -> DataFrame:
 
 
 def finish(kept: DataFrame, spec: Spec, p: float, run: int | None = None, scale: float = 1.0, rates: tuple[float, float] | None = None) -> DataFrame:
-    """One ESTIMATE row from a kept set; ``scale`` and ``rates`` are those of samples."""
+    """One ESTIMATE row from a kept set.
+
+    ``scale`` is one over the product of a sample's ``rates``: estimates,
+    counts and bounds of the sample become those of the relation.
+    """
     domain, k = FAMILIES[spec.family].domain, spec.k
     one = kept.agg(F.count("*").alias("kept"), F.max("pair_h").alias("kth_hash"))
     filled = F.col("kept") >= k
     top = float(k if spec.estimator == "ratio" else k - 1) * float(domain)
     eps = eps_for(k)
     guess = F.lit(top) / F.greatest(F.col("kth_hash"), F.lit(1)).cast("double") * scale
-    exact = F.lit(p >= 1.0)
+    exact, sampled = F.lit(p >= 1.0), scale != 1.0
     if spec.on_short == "bound":
-        short, name = F.lit(float(k) * k), "upper_bound"
+        short, name = F.lit(float(k) * k * scale), "upper_bound"
     elif spec.on_short == "scaled":
         short, name = F.col("kept") / float((rates or (1.0, 1.0))[0] * (rates or (1.0, 1.0))[1]), "scaled_count"
     else:
         short, name = F.col("kept") / float(p) * scale, "scaled_count"
-    status = F.when(F.col("kept") == 0, "empty").when(filled, "estimate").when(exact & F.lit(scale == 1.0), "exact").otherwise(name)
-    z_hat = F.when(F.col("kept") == 0, F.lit(None).cast("double") if rates else F.lit(0.0)).when(filled, guess).when(exact & F.lit(scale == 1.0), F.col("kept").cast("double")).otherwise(short)
+    status = F.when(F.col("kept") == 0, "empty").when(filled, "estimate").when(exact, "scaled_count" if sampled else "exact").otherwise(name)
+    z_hat = F.when(F.col("kept") == 0, F.lit(None).cast("double") if rates else F.lit(0.0)).when(filled, guess).when(exact, F.col("kept") * float(scale)).otherwise(short)
     lo = F.when(filled, guess / (1 + eps)).otherwise(0.0)
-    hi = F.when(filled, guess / (1 - eps) if eps < 1 else F.lit(None).cast("double")).otherwise((1 + eps) * k * k)
+    hi = F.when(filled, guess / (1 - eps) if eps < 1 else F.lit(None).cast("double")).otherwise((1 + eps) * k * k * scale)
     return one.select(
         F.lit(spec.seed if run is None else run).cast("int").alias("run"),
         F.lit(k).cast("int").alias("k"),
@@ -360,7 +314,13 @@ def kept_set(rel: Rel, spec: Spec, p: float, run: int | None = None) -> DataFram
     """The kept set under the spec's way of tightening; each gives the same rows."""
     if spec.tighten == "pilot" and (t := pilot_threshold(rel, spec, p, run=run)):
         p = min(p, t / FAMILIES[spec.family].domain * (1 + 1e-12))
-    found = hits(rel, spec, p, run)
+    sides = hashed(rel, spec, spec.seed if run is None else run)
+    if spec.tighten == "local" and (spec.strategy == "sweep" or spec.strategy == "cells" and cells_for(p, FAMILIES[spec.family].domain)[0] == 1):
+        # With a single cell the equi-join would list every joined pair; the scan lowers its threshold on the way.
+        return k_smallest(hits_by_sweep(*sides, spec, p, spec.k), spec.k)
+    if spec.tighten == "local" and spec.strategy == "grouped":
+        return k_smallest(hits_by_group(*sides, spec, p, spec.k), spec.k)
+    found = _BY[spec.strategy](*sides, spec, p)
     return k_smallest(found, spec.k, "buffer" if spec.tighten == "local" else "native")
 
 
@@ -402,10 +362,31 @@ def run_hits(rel: Rel, spec: Spec, p: float, runs: range) -> DataFrame:
     return (both.where(F.col("pair_h") < t) if t < domain else both).select("run", "x_h", "y_h", "pair_h")
 
 
+def _run_pruner(k: int):
+    """At most k pairs of each run from a task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept: dict[int, BottomK] = {}
+        for batch in batches:
+            which, x, y, h = (batch.column(c).to_numpy() for c in ("run", "x_h", "y_h", "pair_h"))
+            order = np.argsort(which, kind="stable")
+            cuts = np.flatnonzero(np.diff(which[order], prepend=-1))
+            for a, b in zip(cuts, np.append(cuts[1:], len(order)), strict=True):
+                own = order[a:b]
+                kept.setdefault(int(which[own[0]]), BottomK(k)).feed(h[own], x[own], y[own])
+        for number, state in kept.items():
+            state.flush()
+            columns = [pa.array(np.full(len(state.rows), number, np.int32)), *(pa.array(state.rows[:, i]) for i in (1, 2, 0))]
+            yield pa.RecordBatch.from_arrays(columns, names=["run", "x_h", "y_h", "pair_h"])
+
+    return run
+
+
 def run_estimates(rel: Rel, spec: Spec, runs: range, p: float | None = None) -> DataFrame:
     """(run, kept, kth_hash, z_hat) of several runs; unfilled runs count and divide by p."""
     p = choose_threshold(rel, spec) if p is None else p
-    distinct = run_hits(rel, spec, p, runs).distinct()
+    few = run_hits(rel, spec, p, runs).mapInArrow(_run_pruner(spec.k), "run int, x_h long, y_h long, pair_h long")
+    distinct = few.distinct()
     rank = F.row_number().over(Window.partitionBy("run").orderBy("pair_h", "x_h", "y_h"))
     kept = distinct.withColumn("i", rank).where(F.col("i") <= spec.k)
     one = kept.groupBy("run").agg(F.count("*").alias("kept"), F.max("pair_h").alias("kth_hash"))

@@ -5,8 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .estimate import Spec, as_threshold, hashed, hits_by_group, probes, run_hits
+from ..functions.hashing import FAMILIES
+from .estimate import Spec, as_threshold, cells_for, hashed, probes, run_hits
 from .relations import Rel, work
+from .scan import scan_hits
 
 
 def with_ratio(runs: DataFrame, z: float) -> DataFrame:
@@ -57,17 +59,35 @@ def work_profile(rel: Rel, spec: Spec, p: float) -> DataFrame:
     """One row: n, joined, hits and probes of the cell join at ``p``."""
     left, right = hashed(rel, spec, spec.seed)
     found = probes(left, right, spec, p)
-    t = as_threshold(p, 2**60 if spec.family == "md5_60" else 2**63)
-    domain = 2**60 if spec.family == "md5_60" else 2**63
-    hit = (F.col("x_h") - F.col("y_h")).bitwiseAND(F.lit(domain - 1)) < F.lit(min(t, 2**63 - 1))
+    family = FAMILIES[spec.family]
+    hit = family.pair(F.col("x_h"), F.col("y_h")) < F.lit(min(as_threshold(p, family.domain), 2**63 - 1))
     seen = found.agg(F.count("*").alias("probes"), F.coalesce(F.sum(hit.cast("long")), F.lit(0)).alias("hits"))
     sizes = rel.left.agg(F.count("*").alias("n1")).crossJoin(rel.right.agg(F.count("*").alias("n2")))
     return seen.crossJoin(sizes).crossJoin(work(rel).select("joined"))
 
 
-def group_counters(rel: Rel, spec: Spec, p: float) -> DataFrame:
-    """Per join value: rows, start cursor moves, visited pairs, selections and inserts."""
-    return hits_by_group(*hashed(rel, spec, spec.seed), spec, p, counters=True)
+def scan_counters(rel: Rel, spec: Spec, p: float, partitions: int = 1) -> DataFrame:
+    """Per task of the forward scan: rows, moves of the start cursor, visited pairs, buffer inserts and selections, first and last threshold."""
+    domain = FAMILIES[spec.family].domain
+    return scan_hits(*hashed(rel, spec, spec.seed), spec.family, as_threshold(p, domain), *cells_for(p, domain), spec.k, counters=True, partitions=partitions)
+
+
+def thresholds(runs: DataFrame, k: int, domain: int, first: float = 1.0) -> DataFrame:
+    """(run, first_p, last_p): where each run began and where its kept set ended; unfilled runs end as they began."""
+    last = F.when(F.col("kept") >= k, F.col("kth_hash").cast("double") / float(domain)).otherwise(F.lit(first))
+    return runs.select("run", F.lit(first).alias("first_p"), last.alias("last_p"))
+
+
+def io_profile(spark, action) -> dict[str, int]:
+    """Bytes read, and shuffled both ways, by all executors while ``action()`` runs."""
+    def totals() -> list[int]:
+        found = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+        each = [found.apply(i) for i in range(found.size())]
+        return [sum(getattr(e, name)() for e in each) for name in ("totalInputBytes", "totalShuffleRead", "totalShuffleWrite")]
+
+    start = totals()
+    action()
+    return dict(zip(("input", "shuffle_read", "shuffle_write"), (b - a for a, b in zip(start, totals(), strict=True)), strict=True))
 
 
 def hits_per_run(rel: Rel, p: float, runs: range) -> DataFrame:

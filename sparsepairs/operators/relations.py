@@ -11,10 +11,12 @@ from pyspark.sql import types as T
 
 @dataclass(frozen=True)
 class Rel:
-    """``left(lk, jk)`` and ``right(jk, rk)``; lazy, distinct unless said otherwise."""
+    """``left(lk, jk)`` and ``right(jk, rk)``; lazy.  ``distinct`` says that no row comes twice, ``mirrored`` that the sides are one table."""
 
     left: DataFrame
     right: DataFrame
+    distinct: bool = False
+    mirrored: bool = False
 
 
 def _key(df: DataFrame, columns: str | list[str]) -> Column:
@@ -57,12 +59,14 @@ def normalize(
         rows = df.dropna(subset=names).select(kept.alias(roles[0]), joined.alias(roles[1]))
         rows = rows.select("lk", "jk") if roles[0] == "lk" else rows.select("jk", "rk")
         sides.append(rows.distinct() if dedup else rows)
-    return Rel(*sides)
+    return Rel(*sides, distinct=dedup)
 
 
 def self_rel(df: DataFrame, keep: str | list[str], on: str | list[str], dedup: bool = True) -> Rel:
     """A relation joined with itself; pairs of a value with itself count."""
-    return normalize(df, df, keep, keep, on, dedup)
+    left = normalize(df, df, keep, keep, on, dedup).left
+    # The mirror reads the same rows, so their exchange is made once.
+    return Rel(left, left.select("jk", F.col("lk").alias("rk")), distinct=dedup, mirrored=True)
 
 
 def drop_dangling(rel: Rel) -> Rel:
@@ -82,9 +86,12 @@ def cluster(rel: Rel, how: str = "hash", partitions: int | None = None) -> Rel:
 
 def group_sizes(rel: Rel) -> DataFrame:
     """jk, l, r: distinct kept values of each join value that has both."""
-    left = rel.left.groupBy("jk").agg(F.count_distinct(F.coalesce(F.xxhash64("lk"), F.lit(0))).alias("l"))
-    right = rel.right.groupBy("jk").agg(F.count_distinct(F.coalesce(F.xxhash64("rk"), F.lit(0))).alias("r"))
-    return left.join(right, "jk")
+    def sizes(df: DataFrame, role: str, name: str) -> DataFrame:
+        n = F.count("*") if rel.distinct else F.count_distinct(F.coalesce(F.xxhash64(role), F.lit(0)))
+        return df.groupBy("jk").agg(n.alias(name))
+
+    left = sizes(rel.left, "lk", "l")
+    return left.withColumn("r", F.col("l")) if rel.mirrored else left.join(sizes(rel.right, "rk", "r"), "jk")
 
 
 def work(rel: Rel) -> DataFrame:

@@ -9,11 +9,12 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import FAMILIES
-from .estimate import ESTIMATE, Spec, choose_threshold, finish, hits, k_smallest
+from ..functions.hashing import FAMILIES, drawn_table
+from ..sources.sketches import scratch
+from .estimate import ESTIMATE, Spec, choose_threshold, finish, kept_set
 from .relations import Rel, drop_dangling
 
 
@@ -22,17 +23,27 @@ def sample_threshold(p: float, family: str) -> int:
 
 
 def sample_side(df: DataFrame, role: str, p: float, seed: str, family: str = "mix63", mode: str = "hash") -> DataFrame:
-    """Tuples of one side whose kept value is in the sample; ``table`` draws the values at random instead."""
+    """Tuples of one side whose kept value is in the sample.
+
+    With ``table`` values are chosen by random bits that are drawn once,
+    stored in the shared folder and joined, whatever task reads them.
+    """
     if not 0 < p <= 1:
         raise ValueError("a rate lies in (0, 1]")
     if mode == "table":
-        chosen = df.select(role).distinct().where(F.rand(abs(hash(seed)) % 2**31) < p)
-        return df.join(chosen, role, "left_semi").select(*df.columns)
+        drawn = drawn_table(df, role, seed, scratch(df.sparkSession, "drawn"))
+        return table_sample(df, role, p, drawn)
     if p >= 1:
         return df
     return df.where(FAMILIES[family].hash(F.col(role), seed) < sample_threshold(p, family))
 
 
+def table_sample(df: DataFrame, role: str, p: float, drawn: DataFrame) -> DataFrame:
+    """Tuples whose kept value has stored bits below the rate; a null value is a value."""
+    chosen = drawn.where(F.col("bits") < sample_threshold(p, "md5_60")).select(F.col(role).alias("__value"))
+    return df.join(chosen, F.col(role).eqNullSafe(F.col("__value")), "left_semi")
+
+
 def sampled(rel: Rel, p1: float, p2: float, run: int = 1, family: str = "mix63", mode: str = "hash") -> Rel:
     """Both sides' samples under the run's sampling seeds."""
     return Rel(sample_side(rel.left, "lk", p1, f"SL{run}:", family, mode), sample_side(rel.right, "rk", p2, f"SR{run}:", family, mode))
@@ -49,8 +60,7 @@ def sample_estimate(rel: Rel, p1: float, p2: float, inner: str = "exact", spec:
     if inner == "bottomk":
         rel = drop_dangling(rel)
         p = choose_threshold(rel, spec)
-        rates = (p1, p2) if p >= 1 or spec.on_short == "scaled" else None
-        return finish(k_smallest(hits(rel, spec, p, run), spec.k), spec, p, run, 1 / (p1 * p2), rates or (p1, p2))
+        return finish(kept_set(rel, spec, p, run), spec, p, run, 1 / (p1 * p2), (p1, p2))
     pairs = rel.left.join(rel.right, "jk").select("lk", "rk").distinct().agg(F.count("*").alias("kept"))
     empty = F.col("kept") == 0
     row = pairs.select(
@@ -113,8 +123,11 @@ def median_of_samples(rel: Rel, p1: float, p2: float, runs: int, spec: Spec = Sp
     return found.agg(F.count("*").alias("runs"), F.median(F.coalesce("z_hat", F.lit(0.0))).alias("z_hat"))
 
 
-def sample_runs(rel: Rel, p1: float, p2: float, runs: range, family: str = "md5_60") -> DataFrame:
-    """(run, kept, z_hat) of exact sample estimates of many runs in one plan; runs without a pair have kept 0 and a null."""
+def sample_runs(rel: Rel, p1: float, p2: float, runs: range, family: str = "md5_60", k: int | None = None) -> DataFrame:
+    """(run, kept, z_hat) of sample estimates of many runs in one plan; runs without a pair have kept 0 and a null.
+
+    Pairs of the samples are counted, or with ``k`` sketched by their k smallest hashes.
+    """
     if family != "md5_60":
         raise ValueError("runs as a column need md5_60")
     spark = rel.left.sparkSession
@@ -124,6 +137,17 @@ def sample_runs(rel: Rel, p1: float, p2: float, runs: range, family: str = "md5_
     chosen = lambda df, c, side, p: df.select(c).distinct().select(c, each).where(digest(side, c) < sample_threshold(p, family))
     left = rel.left.join(chosen(rel.left, "lk", "SL", p1), "lk")
     right = rel.right.join(chosen(rel.right, "rk", "SR", p2), "rk")
-    pairs = left.join(right, ["run", "jk"]).select("run", "lk", "rk").distinct().groupBy("run").agg(F.count("*").alias("kept"))
+    pairs = left.join(right, ["run", "jk"]).select("run", "lk", "rk").distinct()
+    if k is None:
+        found = pairs.groupBy("run").agg(F.count("*").alias("kept"))
+        size = F.col("kept")
+    else:
+        domain = FAMILIES[family].domain
+        hashed = pairs.select("run", digest("L", "lk").alias("x_h"), digest("R", "rk").alias("y_h"))
+        hashed = hashed.select("run", "x_h", "y_h", (F.col("x_h") - F.col("y_h")).bitwiseAND(F.lit(domain - 1)).alias("pair_h"))
+        rank = F.row_number().over(Window.partitionBy("run").orderBy("pair_h", "x_h", "y_h"))
+        kept = hashed.withColumn("i", rank).where(F.col("i") <= k)
+        found = kept.groupBy("run").agg(F.count("*").alias("kept"), F.max("pair_h").alias("kth_hash"))
+        size = F.when(F.col("kept") >= k, F.lit(float(k) * float(domain)) / F.greatest("kth_hash", F.lit(1)).cast("double")).otherwise(F.col("kept"))
     every = spark.range(runs.start, runs.stop).select(F.col("id").cast("int").alias("run"))
-    return every.join(pairs, "run", "left").select("run", F.coalesce("kept", F.lit(0)).alias("kept"), (F.col("kept") / (p1 * p2)).alias("z_hat"))
+    return every.join(found, "run", "left").select("run", F.coalesce("kept", F.lit(0)).alias("kept"), (size / (p1 * p2)).alias("z_hat"))

@@ -4,6 +4,7 @@ import itertools
 from math import isclose, sqrt
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -11,8 +12,10 @@ from pyspark.sql import functions as F
 
 from sparsepairs.functions import bounds, hashing
 from sparsepairs.operators import applications, baselines, measures, sampling
-from sparsepairs.operators.estimate import BottomK, Spec, cells_for, estimate_size, hits, k_smallest, run_estimates, walk_group
+from sparsepairs.operators.estimate import Spec, as_threshold, cells_for, estimate_size, hashed, hits, hits_by_sweep, k_smallest, kept_set, run_estimates, walk_group
 from sparsepairs.operators.relations import Rel, cluster, drop_dangling, normalize, profile, self_rel
+from sparsepairs.operators.scan import BottomK, Scan
+from sparsepairs.plans import methods
 from sparsepairs.plans.methods import PUBLISHED
 from sparsepairs.plans.workloads import WORKLOADS
 
@@ -67,7 +70,12 @@ def test_walk_group_is_the_cyclic_range(xs, ys, t):
     x, y, moves, visited = walk_group(np.array(xs, np.int64), np.array(ys, np.int64), t, 16)
     want = {(a, b) for a in set(xs) for b in set(ys) if (a - b) % 16 < t}
     assert set(zip(x.tolist(), y.tolist())) == want and visited == len(want)
-    assert moves <= 2 * max(1, len(set(xs)))
+    # The start cursor, walked step by step.
+    left, at, steps = sorted(set(xs)), 0, 0
+    for b in sorted(set(ys)) if left else []:
+        while at < len(left) and left[at] < b:
+            at, steps = at + 1, steps + 1
+    assert moves == steps <= 2 * max(1, len(left))
 
 
 def test_hand_trace():
@@ -202,3 +210,141 @@ def test_applications(spark, sf):
 def test_self_join_counts_equal_pairs(spark):
     df = spark.createDataFrame([(1, 1), (2, 1)], "a long, j long")
     assert size(self_rel(df, "a", "j"))["kept"] == 4
+
+
+def literal_scan(lefts, rights, t, domain):
+    """Three cursors over one sorted run, a row at a time: hits, moves of the start cursor, visited pairs."""
+    found, at, moves = [], 0, 0
+    for kind, y in sorted(rights, key=lambda r: r[1]):
+        if kind == 1:
+            while at < len(lefts) and lefts[at] < y:
+                at, moves = at + 1, moves + 1
+        low = at if kind == 1 else 0
+        end = min(y + t, domain) if kind != 3 else y + t - domain
+        while low < len(lefts) and lefts[low] < end:
+            found.append((lefts[low], y))
+            low += 1
+    return found, moves
+
+
+@given(
+    st.lists(st.tuples(st.integers(0, 2), st.lists(st.integers(0, 31), max_size=6), st.lists(st.integers(0, 31), max_size=6)), max_size=4), st.integers(1, 32), st.integers(1, 5)
+)
+@settings(max_examples=150, deadline=None)
+def test_forward_scan_is_the_literal_one(groups, t, size):
+    """Any cut into batches gives the hits, the cursor moves and the visited pairs of three literal cursors."""
+    rows, want, moves = [], [], 0
+    for jk, (_, xs, ys) in enumerate(groups):
+        lefts, rights = sorted(set(xs)), [(kind, y) for y in set(ys) for kind in (1, 3)]
+        rows += [(jk, 0, 0, x) for x in lefts] + [(jk, 0, kind, y) for kind, y in sorted(rights, key=lambda r: (r[1], r[0]))]
+        got, steps = literal_scan(lefts, rights, t, 32)
+        assert sorted(got) == sorted((x, y) for x in lefts for y in set(ys) if (x - y) % 32 < t)
+        want, moves = want + got, moves + steps
+    scan, found = Scan(32, t), []
+    for i in range(0, len(rows), size):
+        part = list(zip(*rows[i : i + size], strict=True))
+        batch = pa.RecordBatch.from_arrays([pa.array(part[0], pa.int64()), pa.array(part[1], pa.int64()), pa.array(part[2], pa.int32()), pa.array(part[3], pa.int64())], names=["jk", "cell", "side", "h"])
+        for x, y, h in scan.batch(batch):
+            assert ((x - y) % 32 == h).all()
+            found += zip(x.tolist(), y.tolist(), strict=True)
+    assert sorted(found) == sorted(want) and scan.counts["moves"] == moves and scan.counts["visited"] == len(want)
+
+
+@given(st.lists(st.tuples(st.integers(0, 40), st.integers(0, 5), st.integers(0, 5)), max_size=90), st.integers(1, 8), st.integers(1, 20))
+@settings(max_examples=100, deadline=None)
+def test_buffer_selects_when_full(rows, k, size):
+    """Fed in any portions, the buffer keeps the k smallest and combines as often as one pair at a time would."""
+    def run(step):
+        s, a = BottomK(k), np.array(rows, np.int64).reshape(-1, 3)
+        for i in range(0, len(a), step):
+            s.feed(a[i : i + step, 0], a[i : i + step, 1], a[i : i + step, 2])
+        return s
+
+    one, many = run(1), run(size)
+    assert (one.inserts, one.selections) == (many.inserts, many.selections)
+    one.flush(), many.flush()
+    assert [tuple(r) for r in one.rows.tolist()] == [tuple(r) for r in many.rows.tolist()] == sorted(set(rows))[:k]
+
+
+@pytest.mark.parametrize("family", ["md5_60", "mix63", "affine61"])
+@pytest.mark.parametrize("p", [1.0, 0.3, 1 / 64])
+def test_scan_gives_the_hits_of_the_join(spark, sf, family, p):
+    rel, spec = WORKLOADS["dim_dim"].build(spark, sf), Spec(k=64, family=family)
+    sides = hashed(rel, spec, 1)
+    want = {tuple(r) for r in hits(rel, Spec(k=64, family=family, strategy="full"), p).distinct().collect()}
+    for how in ("hash", "range"):
+        assert {tuple(r) for r in hits_by_sweep(*sides, spec, p, how=how).distinct().collect()} == want
+    few = hits_by_sweep(*sides, spec, p, 64)
+    assert {tuple(r) for r in k_smallest(few, 64).collect()} == set(sorted(want, key=lambda r: (r[2], r[0], r[1]))[:64])
+
+
+def test_falling_threshold_saves_work(spark, sf):
+    """From p = 1 every strategy keeps the same set, and the scan looks at a part of the joined pairs."""
+    rel = WORKLOADS["cust_cust_part"].build(spark, sf)
+    sets = [{tuple(r) for r in kept_set(rel, Spec(k=64, family="md5_60", policy="one", strategy=s, tighten=t), 1.0).collect()} for s, t in (("full", "none"), ("cells", "local"), ("sweep", "local"), ("grouped", "local"))]
+    assert len(sets[0]) == 64 and all(s == sets[0] for s in sets)
+    done = measures.scan_counters(rel, Spec(k=64, family="md5_60"), 1.0).first()
+    joined = profile(rel).first()["joined"]
+    assert done["visited"] < joined / 10 and done["last_t"] < done["first_t"] == 1.0 and done["selections"] >= done["inserts"] // 64
+
+
+def test_mix63_is_checked_by_brute_force(spark, sf):
+    """The default family: the kept set and the estimate, recomputed from the distinct pairs' own hashes."""
+    rel = WORKLOADS["supp_cust_order"].build(spark, sf)
+    a, b = (spark.createDataFrame(df.select(c).distinct().toPandas()) for df, c in ((rel.left, "lk"), (rel.right, "rk")))
+    x = {r["lk"]: r["h"] for r in a.select("lk", hashing.MIX63.hash(F.col("lk"), "L1:").alias("h")).collect()}
+    y = {r["rk"]: r["h"] for r in b.select("rk", hashing.MIX63.hash(F.col("rk"), "R1:").alias("h")).collect()}
+    pairs = sorted({((x[r["lk"]] - y[r["rk"]]) % 2**63, x[r["lk"]], y[r["rk"]]) for r in baselines.join_project(rel).collect()})
+    kept = kept_set(rel, Spec(k=100), 0.2)
+    assert sorted((r["pair_h"], r["x_h"], r["y_h"]) for r in kept.collect()) == pairs[:100]
+    row = estimate_size(rel, Spec(k=100, policy="fixed", p=0.2)).first()
+    assert isclose(row["z_hat"], 100 * 2.0**63 / pairs[99][0]) and row["status"] == "estimate"
+
+
+@pytest.mark.parametrize("name", ["part_part_order", "freq_parts", "cust_cust_part"])
+def test_study_runs_are_brute_force(spark, sf, name):
+    """Runs of the instances whose SQL takes too long, recomputed in numpy."""
+    import hashlib
+
+    pairs = baselines.join_project(WORKLOADS[name].build(spark, sf)).toPandas()
+    digest = lambda seed, v: int(hashlib.md5(f"{seed}{v}".encode()).hexdigest()[:15], 16)
+    got = {r["run"]: r for r in methods.ratio_runs(spark, sf, name, 256, range(1, 4)).collect()}
+    for run in range(1, 4):
+        x, y = ({v: digest(f"{side}{run}:", v) for v in set(pairs[c])} for side, c in (("L", "lk"), ("R", "rk")))
+        h = np.sort((pairs.lk.map(x).to_numpy() - pairs.rk.map(y).to_numpy()) % 2**60)
+        assert got[run]["kth_hash"] == h[255] and isclose(got[run]["ratio"], 256 * 2.0**60 / h[255] / len(h))
+
+
+def test_sampled_bounds_hold_for_the_relation(spark, sf):
+    rel = WORKLOADS["part_part_order"].build(spark, sf)
+    row = sampling.sample_estimate(rel, 0.5, 0.5, "bottomk").first()
+    assert row["status"] == "upper_bound" and row["z_hat"] == 4 * 1024.0**2 and row["hi"] > row["z_hat"]
+    exact = sampling.sample_estimate(rel, 0.5, 0.5, "exact").first()["z_hat"]
+    counted = sampling.sample_estimate(rel, 0.5, 0.5, "bottomk", Spec(k=10**6, policy="one")).first()
+    assert counted["status"] == "scaled_count" and counted["z_hat"] == exact
+
+
+def test_drawn_bits_are_stored(spark, sf, tmp_path):
+    """Every reader of a drawn table sees the same bits; samples and sketches follow from them."""
+    rel = WORKLOADS["supp_cust_order"].build(spark, sf)
+    drawn = hashing.drawn_table(rel.left, "lk", "L1:", f"file://{tmp_path}/bits")
+    bits = {r["lk"]: r["bits"] for r in drawn.collect()}
+    assert {r["lk"]: r["bits"] for r in drawn.collect()} == bits and len(set(bits.values())) == len(bits) and all(0 <= b < 2**60 for b in bits.values())
+    got = {tuple(r) for r in sampling.table_sample(rel.left, "lk", 0.4, drawn).collect()}
+    assert got == {tuple(r) for r in rel.left.collect() if bits[r["lk"]] < sampling.sample_threshold(0.4, "md5_60")}
+
+
+def test_built_in_baselines_are_near(spark, sf):
+    rel = WORKLOADS["part_part_order"].build(spark, sf)
+    z = baselines.exact_size(rel).first()["z"]
+    hll, theta = baselines.builtin_hll(rel).first(), baselines.builtin_theta(rel).first()
+    assert all(abs(v / z - 1) < 0.1 for v in (hll["hll_plus"], hll["hll"], theta["theta"]))
+    # Uniform tuples meet too seldom in pairs that several join values give: the control is biased.
+    assert baselines.tuple_sample_size(rel, 0.3).first()["z_hat"] > z
+
+
+def test_more_closed_forms():
+    assert bounds.regime(256**2 + 1, 256) == "guarantee" and bounds.regime(256**2, 256) == "bound"
+    assert bounds.expected_hits(0.25, 100) == 25 and bounds.work_ok(0.01, 100, 50) and not bounds.work_ok(0.05, 100, 50)
+    assert isclose(bounds.deviation_bound(10, 20, 3, 4, 5, 0.5, 100), (4 * 10 + 3 * 20 + 10 * 20 / 5) / (5 * 0.25 * 100))
+    assert bounds.rounds_for(0.25) == 17 and as_threshold(1.0, 2**60) == 2**60
