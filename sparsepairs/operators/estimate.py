@@ -340,7 +340,7 @@ def estimate_size(rel: Rel, spec: Spec = Spec()) -> DataFrame:
 
 
 def run_hits(rel: Rel, spec: Spec, p: float, runs: range) -> DataFrame:
-    """Hits of several runs from one pass: inputs are clustered by join value first, runs multiply afterwards.
+    """Hits of several runs in one plan: values are hashed for every run, tuples multiply by a join on the value.
 
     (run, x_h, y_h, pair_h); only families whose seed may be a column: md5_60.
     """
@@ -349,8 +349,13 @@ def run_hits(rel: Rel, spec: Spec, p: float, runs: range) -> DataFrame:
     shift = width.bit_length() - 1
     each = F.explode(F.sequence(F.lit(runs.start), F.lit(runs.stop - 1))).alias("run")
     digest = lambda side, c: F.conv(F.substring(F.md5(F.concat(F.lit(side), F.col("run"), F.lit(":"), F.coalesce(F.col(c).cast("string"), F.lit("\\N")))), 1, 15), 16, 10).cast("long")
-    left = rel.left.select("jk", "lk", each).select("run", "jk", digest("L", "lk").alias("x_h"))
-    right = rel.right.select("jk", "rk", each).select("run", "jk", digest("R", "rk").alias("y_h"))
+
+    def hashed_by_run(df: DataFrame, role: str, side: str, out: str) -> DataFrame:
+        """Values are hashed once for each run; their tuples follow by a join."""
+        values = df.select(F.col(role).alias("__value")).distinct().select("__value", each).select("__value", "run", digest(side, "__value").alias(out))
+        return df.join(values, F.col(role).eqNullSafe(F.col("__value"))).select("run", "jk", out)
+
+    left, right = hashed_by_run(rel.left, "lk", "L", "x_h"), hashed_by_run(rel.right, "rk", "R", "y_h")
     keys = ["run", "jk"]
     if cells > 1:
         own = F.shiftright("y_h", shift)

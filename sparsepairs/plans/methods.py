@@ -473,6 +473,7 @@ register(
 
 for key, hint in (("b_exact_hash", "shuffle_hash"), ("b_exact_merge", "merge"), ("b_exact_broadcast", "broadcast")):
     register(key, lambda s, d, h=hint: baselines.exact_size(rel(s, d, "part_part_order"), h), O.exact("part_part_order"))
+register("b_exact_doc_doc", lambda s, d: baselines.exact_size(rel(s, d, "doc_doc_word")), O.exact("doc_doc_word"))
 register("b_exact_by_left", lambda s, d: baselines.exact_by_left(rel(s, d, "part_part_order")), O.exact("part_part_order"))
 
 

@@ -75,6 +75,12 @@ WORKLOADS = {
     w.name: w
     for w in (
         _self("user_user_hour", hours, "user_id", "hour", "select distinct user_id as lk, date_trunc('hour', ts) as jk from events"),
+        _self("user_user_minute", lambda s, d: table(s, d, "events").select("user_id", F.date_trunc("minute", "ts").alias("minute")), "user_id", "minute", "select distinct user_id as lk, date_trunc('minute', ts) as jk from events"),
+        _self(
+            "user_user_prop", lambda s, d: table(s, d, "events").select("user_id", F.get_json_object("props", "$.k").cast("long").alias("k")), "user_id", "k",
+            "select distinct user_id as lk, cast(json_extract_string(props, '$.k') as bigint) as jk from events where json_extract_string(props, '$.k') is not null",
+        ),
+        _self("part_part_cust", order_lines, "l_partkey", "o_custkey", "select distinct l_partkey as lk, o_custkey as jk from orders join lineitem on o_orderkey = l_orderkey"),
         _self("cust_cust_part", order_lines, "o_custkey", "l_partkey", _CUST_PART),
         Workload(
             "supp_cust_order",

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
 from ..functions.hashing import MD5_60
-from ..operators.estimate import Spec, finish, hits, k_smallest
+from ..operators.estimate import Spec, finish, hits, k_smallest, walk_group
 from ..operators.relations import Rel
 from ..operators.sampling import sample_side
 from ..sources.sketches import scratch
@@ -68,30 +68,44 @@ def stream_join(a: DataFrame, b: DataFrame, within: str, late: str = "1 day") ->
 class RunningEstimate:
     """A kept set that new rows extend: each batch joins the rows stored so far, in both roles.
 
-    Every version is written under its batch's number, so a batch that comes
-    again finds its result and does nothing.
+    Rows and kept set of a batch are written under its number, the kept set
+    last.  The newest number with a whole kept set is the version, also for
+    an object made after a restart, so a batch that comes again finds its
+    result and does nothing, and one that broke off is written anew.
     """
 
     def __init__(self, spark: SparkSession, path: str, spec: Spec, p: float):
-        self.spark, self.path, self.spec, self.p, self.version = spark, path, spec, p, -1
+        self.spark, self.path, self.spec, self.p = spark, path, spec, p
+        self.numbers = self._stored()
+
+    def _stored(self) -> list[int]:
+        path = self.spark._jvm.org.apache.hadoop.fs.Path
+        at = path(f"{self.path}/kept")
+        fs = at.getFileSystem(self.spark._jsparkSession.sessionState().newHadoopConf())
+        found = [x.getPath() for x in fs.listStatus(at)] if fs.exists(at) else []
+        return sorted(int(x.getName()) for x in found if fs.exists(path(x, "_SUCCESS")))
+
+    @property
+    def version(self) -> int:
+        return self.numbers[-1] if self.numbers else -1
 
     def add(self, rows: DataFrame, batch: int) -> None:
         """``rows`` are (keep, on) of a self-join."""
         if batch <= self.version:
             return
-        new = rows.select(F.col("keep").alias("lk"), F.col("on").alias("jk")).distinct()
+        rows.select(F.col("keep").alias("lk"), F.col("on").alias("jk")).distinct().write.mode("overwrite").parquet(f"{self.path}/rows/{batch}")
+        new = self.spark.read.parquet(f"{self.path}/rows/{batch}")
         mirror = lambda df: df.select("jk", F.col("lk").alias("rk"))
         found = hits(Rel(new, mirror(new)), self.spec, self.p)
-        if self.version >= 0:
-            old = self.spark.read.parquet(f"{self.path}/rows")
-            kept = self.spark.read.parquet(f"{self.path}/kept-{self.version}")
+        if self.numbers:
+            old = self.spark.read.parquet(*[f"{self.path}/rows/{n}" for n in self.numbers])
+            kept = self.spark.read.parquet(f"{self.path}/kept/{self.version}")
             found = found.unionByName(hits(Rel(new, mirror(old)), self.spec, self.p)).unionByName(hits(Rel(old, mirror(new)), self.spec, self.p)).unionByName(kept)
-        k_smallest(found, self.spec.k).write.mode("overwrite").parquet(f"{self.path}/kept-{batch}")
-        new.write.mode("append").parquet(f"{self.path}/rows")
-        self.version = batch
+        k_smallest(found, self.spec.k).write.mode("overwrite").parquet(f"{self.path}/kept/{batch}")
+        self.numbers.append(batch)
 
     def result(self) -> DataFrame:
-        return finish(self.spark.read.parquet(f"{self.path}/kept-{self.version}"), self.spec, self.p)
+        return finish(self.spark.read.parquet(f"{self.path}/kept/{self.version}"), self.spec, self.p)
 
 
 class WindowPairs(StatefulProcessor):
@@ -110,7 +124,7 @@ class WindowPairs(StatefulProcessor):
         self.kept = handle.getValueState("kept", "hashes array<long>")
 
     @staticmethod
-    def _digest(side: str, users: np.ndarray) -> np.ndarray:
+    def _digest(side: str, users: list[int]) -> np.ndarray:
         import hashlib
 
         return np.array([int(hashlib.md5(f"{side}1:{u}".encode()).hexdigest()[:15], 16) for u in users], np.int64)
@@ -123,12 +137,13 @@ class WindowPairs(StatefulProcessor):
                 new = sorted(set(users.tolist()) - set(old))
                 if not new:
                     continue
-                every = np.array(old + new, np.int64)
-                x, y = self._digest("L", every), self._digest("R", every)
-                pairs = (x[:, None] - y[None, :]) & (2**60 - 1)
-                kept |= set(pairs.ravel().tolist())
+                # New pairs only: those with a new user on either side, and below the k-th hash so far.
+                every, t = old + new, max(kept) + 1 if len(kept) >= self.k else 2**60
+                for left, right in ((every, new), (new, old)):
+                    x, y, _, _ = walk_group(self._digest("L", left), self._digest("R", right), t, 2**60)
+                    kept |= set(((x - y) & (2**60 - 1)).tolist())
                 kept = set(sorted(kept)[: self.k])
-                self.minutes.updateValue((int(minute),), (every.tolist(),))
+                self.minutes.updateValue((int(minute),), (every,))
         self.kept.update((sorted(kept),))
         self.handle.registerTimer((int(key[0]) + 1) * 86_400_000)
         return iter(())

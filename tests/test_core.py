@@ -348,3 +348,23 @@ def test_more_closed_forms():
     assert bounds.expected_hits(0.25, 100) == 25 and bounds.work_ok(0.01, 100, 50) and not bounds.work_ok(0.05, 100, 50)
     assert isclose(bounds.deviation_bound(10, 20, 3, 4, 5, 0.5, 100), (4 * 10 + 3 * 20 + 10 * 20 / 5) / (5 * 0.25 * 100))
     assert bounds.rounds_for(0.25) == 17 and as_threshold(1.0, 2**60) == 2**60
+
+
+def test_running_estimate_survives_a_restart(spark, sf, tmp_path):
+    """A new object takes up the stored version; replayed batches change nothing, a broken one is written anew."""
+    from sparsepairs.streaming.streams import RunningEstimate
+
+    spec, path = Spec(k=400, family="md5_60", policy="one"), f"file://{tmp_path}/running"
+    rows = spark.createDataFrame([(i % 17, i % 5) for i in range(60)], "keep long, on long")
+    parts = [rows.where("keep < 6"), rows.where("keep between 6 and 11"), rows.where("keep > 11")]
+    one = RunningEstimate(spark, path, spec, 1.0)
+    one.add(parts[0], 0)
+    one.add(parts[1], 1)
+    parts[2].limit(1).selectExpr("keep as lk", "on as jk").write.parquet(f"{path}/rows/2")
+    two = RunningEstimate(spark, path, spec, 1.0)
+    assert two.version == 1
+    two.add(parts[1], 1)
+    two.add(parts[2], 2)
+    two.add(parts[2], 2)
+    z = baselines.exact_size(self_rel(rows, "keep", "on")).first()["z"]
+    assert RunningEstimate(spark, path, spec, 1.0).result().first()["z_hat"] == two.result().first()["z_hat"] == z
