@@ -27,6 +27,10 @@ STRATEGIES = ("cells", "sweep", "grouped", "full")
 ESTIMATE = "run int, k int, policy string, p double, threshold long, filled boolean, kept long, kth_hash long, z_hat double, lo double, hi double, status string"
 
 
+#: Parts into which the grouped strategy splits a join value.
+GROUP_CELLS = 4
+
+
 @dataclass(frozen=True)
 class Spec:
     """How to estimate.  ``eps`` sets k; ``on_short`` says what an unfilled set gives."""
@@ -198,7 +202,8 @@ def hits_by_group(left: DataFrame, right: DataFrame, spec: Spec, p: float, keep:
             px, py = px[low], py[low]
         return pa.table({"x_h": pa.array(px, pa.int64()), "y_h": pa.array(py, pa.int64())})
 
-    l2, r2 = in_cells(left, right, domain, p)
+    # Few wide cells: a heavy join value is split, a light one isn't many groups.
+    l2, r2 = in_cells(left, right, domain, max(p, 1 / GROUP_CELLS))
     # Names of their own, since the sides of a self-join share theirs.
     r2 = r2.select(*[F.col(c).alias(c) for c in r2.columns])
     out = l2.groupBy("jk", "cell").cogroup(r2.groupBy("jk", "cell")).applyInArrow(run, "x_h long, y_h long")
