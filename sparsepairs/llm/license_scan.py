@@ -3,8 +3,9 @@
 Fuzzy search: a notice of length m with at most e edits is cut into e + 1
 parts.  One of them must stand in the text unchanged (pigeonhole), so an
 Aho-Corasick pass over those exact seeds finds every candidate.  Each word
-start from which the seed can be reached is then verified by an edit distance
-in a band, which gives every word end within the bound and its edits.
+start from which the seed can be reached is then verified against every word
+end within reach by the bounded-error matching of the ``regex`` library, whose
+best match of that whole span gives its edits.
 
 Defined cases: null and empty texts give no places, null first and last word,
 empty labels and score 0; very long texts are scanned whole; repeated rows and
@@ -83,14 +84,15 @@ class Notice:
 
 
 def compile_notices(notices: dict[str, str], letters_per_edit: int = LETTERS_PER_EDIT):
-    """The automaton of all seeds, and each notice with its own."""
+    """The automaton of all seeds, and each notice with the pattern of its best match within its bound."""
     import ahocorasick
+    import regex
 
     machine, held, checks = ahocorasick.Automaton(), {}, []
     for text, label in notices.items():
         notice = Notice(text, label, max(1, len(text) // letters_per_edit))
-        checks.append((notice, notice.seeds))
-        for seed, at in checks[-1][1]:
+        checks.append((notice, regex.compile(f"(?b)(?:{regex.escape(text)}){{e<={notice.edits}}}")))
+        for seed, at in notice.seeds:
             held.setdefault(seed, []).append((len(checks) - 1, at))
     for seed, owners in held.items():
         machine.add_word(seed, (len(seed), owners))
@@ -98,28 +100,16 @@ def compile_notices(notices: dict[str, str], letters_per_edit: int = LETTERS_PER
     return machine, checks
 
 
-def word_stops(plain: str, start: int, notice: Notice) -> list[tuple[int, int]]:
+def word_stops(plain: str, start: int, notice: Notice, pattern) -> list[tuple[int, int]]:
     """Each word end up to which the text from ``start`` is the notice within its bound, and the least edits."""
-    bound, most = notice.edits, len(plain) - start
-    over = bound + 1
-    # Place d of a row stands for d - bound letters more of the text than of the notice.
-    row = [over] * bound + list(range(over))
-    for i, letter in enumerate(notice.text, 1):
-        new = [over] * len(row)
-        for d in range(len(row)):
-            j = i + d - bound
-            if 0 <= j <= most:
-                least = row[d] + (plain[start + j - 1] != letter) if j else over
-                if d + 1 < len(row):
-                    least = min(least, row[d + 1] + 1)
-                if d:
-                    least = min(least, new[d - 1] + 1)
-                new[d] = min(least, over)
-        row = new
-        if min(row) == over:
-            return []
-    stops = [(start + len(notice.text) + d - bound, edits) for d, edits in enumerate(row) if edits < over]
-    return [(x, edits) for x, edits in stops if x > start and plain[x - 1] != " " and (x == len(plain) or plain[x] == " ")]
+    shortest, longest = (start + len(notice.text) + x for x in (-notice.edits, notice.edits))
+    out = []
+    for stop in range(max(start + 1, shortest), min(len(plain), longest) + 1):
+        if plain[stop - 1] != " " and (stop == len(plain) or plain[stop] == " "):
+            match = pattern.fullmatch(plain, start, stop)
+            if match:
+                out.append((stop, sum(match.fuzzy_counts)))
+    return out
 
 
 def apart(spans: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
@@ -146,7 +136,7 @@ def fuzzy_places(plain: str, machine, checks) -> list[tuple[Notice, int, int, in
             starts.setdefault(which, set()).update(x for x in near if plain[x] != " " and (x == 0 or plain[x - 1] == " "))
     found = []
     for which, own in starts.items():
-        spans = [(x, stop, edits) for x in own for stop, edits in word_stops(plain, x, checks[which][0])]
+        spans = [(x, stop, edits) for x in own for stop, edits in word_stops(plain, x, *checks[which])]
         found += [(checks[which][0], *span) for span in apart(spans)]
     return sorted(found, key=lambda x: (x[1], x[2], x[0].label))
 
