@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import shared
+from . import hot, shared
 
 MOST_ROUNDS = 60
 
@@ -21,13 +21,16 @@ def components(edges: DataFrame) -> DataFrame:
     spark = edges.sparkSession
     both = edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a != b").distinct()
     both = shared.written(both, "edges")
+    ends = shared.written(both.groupBy("b").agg(F.count("*").alias("size")), "ends")
+    often = hot.hot_keys(ends, "b", "size", both.count())
     labels = shared.written(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("label")).withColumnRenamed("a", "id"), "labels")
     for _ in range(MOST_ROUNDS):
-        near = both.join(labels, both.b == labels.id).groupBy("a").agg(F.min("label").alias("near"))
+        near = hot.join(both, labels.withColumnRenamed("id", "b"), "b", often).groupBy("a").agg(F.min("label").alias("near"))
         step = labels.join(near, labels.id == near.a).select("id", "label", F.least("label", "near").alias("next"))
         step = shared.written(step, "steps")
+        targets = shared.written(step.groupBy("next").agg(F.count("*").alias("size")), "targets")
         jump = step.select(F.col("id").alias("next"), F.col("next").alias("further"))
-        done = step.join(jump, "next", "left").select("id", F.least("next", F.coalesce("further", "next")).alias("label"), (F.least("next", F.coalesce("further", "next")) != F.col("label")).alias("changed"))
+        done = hot.join(step, jump, "next", hot.hot_keys(targets, "next", "size", step.count()), "left").select("id", F.least("next", F.coalesce("further", "next")).alias("label"), (F.least("next", F.coalesce("further", "next")) != F.col("label")).alias("changed"))
         done = shared.written(done, "labels")
         labels = done.select("id", "label")
         if not done.where("changed").limit(1).collect():

@@ -1,0 +1,33 @@
+"""Joins by a key whose rows may be a large part of all rows."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+#: A key of more than one in this many rows is hot, so no more keys than these can be.
+SHARE = 2_048
+
+
+def hot_keys(sizes: DataFrame, key: str, size: str, rows: int) -> DataFrame:
+    """The keys of more than ``rows / SHARE`` rows; ``sizes`` has a row a key with its rows, ``rows`` in all.
+
+    At most ``SHARE`` keys are returned, whatever the data's size.
+    """
+    return sizes.where(F.col(size) * SHARE > rows).select(key)
+
+
+def join(rows: DataFrame, keyed: DataFrame, key: str, hot: DataFrame, how: str = "inner") -> DataFrame:
+    """``rows`` joined to ``keyed``, which has at most one row a key; null keys meet nothing.
+
+    Rows of the ``hot`` keys (at most ``SHARE``) stay where they are and meet a
+    broadcast of those keys; the others are left to the optimizer's join.
+    """
+    hot = F.broadcast(hot)
+    often = rows.join(hot, key, "left_semi").join(F.broadcast(keyed.join(hot, key, "left_semi")), key, how)
+    rare = rows.where(F.col(key).isNotNull()).join(hot, key, "left_anti").join(keyed.join(hot, key, "left_anti"), key, how)
+    out = often.unionByName(rare)
+    if how in ("left", "left_anti"):
+        # Rows without a key would all gather in one task.
+        out = out.unionByName(rows.where(F.col(key).isNull()), allowMissingColumns=True)
+    return out

@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import shared
+from . import hot, shared
 from .batches import fields, mix, row_of, sliced, spark_schema, text_bytes, word_hashes, word_spans
 from .components import components
 
@@ -59,7 +59,7 @@ SETS = fields(doc_id=pa.int64(), text_key=pa.int64(), name=pa.int64(), n=pa.int6
 NODES = fields(node=pa.int64(), name=pa.int64())
 CHILDREN = fields(parent=pa.int64(), node=pa.int64(), name=pa.int64())
 EDGES = fields(a=pa.int64(), b=pa.int64())
-WHOLE = fields(component=pa.int64(), name=pa.int64(), copies=pa.int64(), shingles=pa.binary())
+WHOLE = fields(component=pa.int64(), parts=pa.int32(), name=pa.int64(), copies=pa.int64(), shingles=pa.binary())
 LINKED = fields(name=pa.int64(), root=pa.int64(), links=pa.int64())
 
 
@@ -256,14 +256,15 @@ def _compare(similarity: float, recall: float = RECALL):
     return run
 
 
-def _sized(nodes: DataFrame, keys: list[str]) -> DataFrame:
-    """Buckets of two or more with their size; of buckets with the same members one is kept."""
+def _sized(nodes: DataFrame) -> DataFrame:
+    """Members (node, name, size) of buckets of two or more; of buckets with the same members one is kept."""
     # Sums of 32-bit halves: rows that come twice don't cancel, and no sum overflows below 2^31 members.
     first, second = F.xxhash64("name"), F.xxhash64("name", F.lit(1))
     halves = [h for x in (first, second) for h in (x.bitwiseAND(F.lit(2**32 - 1)), F.shiftrightunsigned(x, 32))]
     members = [F.sum(h).alias(f"s{i}") for i, h in enumerate(halves)]
-    sizes = nodes.groupBy(*keys).agg(F.count("*").alias("size"), *members).where("size > 1")
-    return sizes.groupBy("size", *[f"s{i}" for i in range(len(halves))]).agg(F.min(F.struct(*keys)).alias("k")).select("k.*", "size")
+    sizes = shared.written(nodes.groupBy("node").agg(F.count("*").alias("size"), *members).where("size > 1"), "sizes")
+    one = sizes.groupBy("size", *[f"s{i}" for i in range(len(halves))]).agg(F.min("node").alias("node")).select("node", "size")
+    return hot.join(nodes, one, "node", hot.hot_keys(sizes, "node", "size", nodes.count())).select("node", "name", "size")
 
 
 def candidates(sets: DataFrame, similarity: float = SIMILARITY, recall: float = RECALL) -> DataFrame:
@@ -277,7 +278,7 @@ def candidates(sets: DataFrame, similarity: float = SIMILARITY, recall: float =
     meeting = 1 - (1 - FILTER_SHARE) * (1 - recall)
     samples = sets.select("name", "sample")
     nodes = shared.written(samples.mapInArrow(_first_level(runs_for(similarity, meeting)), spark_schema(NODES)), "nodes")
-    member = nodes.join(_sized(nodes, ["node"]), "node").select("node", "name", "size")
+    member = _sized(nodes)
     done = member.where(F.col("size") <= BUCKET)
     large = shared.written(member.where(F.col("size") > BUCKET), "large")
     for level in range(1, LEVELS + 1):
@@ -290,10 +291,12 @@ def candidates(sets: DataFrame, similarity: float = SIMILARITY, recall: float =
         children = shared.written(children, "children")
         own = children.groupBy("parent", "node").agg(F.count("*").alias("n")).groupBy("parent").agg(F.max("n").alias("top"))
         judged = large.groupBy("node").agg(F.max("size").alias("whole")).join(own.withColumnRenamed("parent", "node"), "node")
+        judged = shared.written(judged, "judged")
+        often = hot.hot_keys(judged, "node", "whole", large.count())
         stuck = judged.where(2 * F.col("top") >= F.col("whole")).select("node")
-        done = done.unionByName(large.join(stuck, "node", "left_semi").select("node", "name", "size"))
-        moving = children.join(stuck.withColumnRenamed("node", "parent"), "parent", "left_anti").select("node", "name")
-        member = moving.join(_sized(moving, ["node"]), "node").select("node", "name", "size")
+        done = done.unionByName(hot.join(large, stuck, "node", often, "left_semi").select("node", "name", "size"))
+        moving = hot.join(children, stuck.withColumnRenamed("node", "parent"), "parent", often.withColumnRenamed("node", "parent"), "left_anti")
+        member = _sized(shared.written(moving.select("node", "name"), "moving"))
         done = done.unionByName(member.where(F.col("size") <= BUCKET))
         large = shared.written(member.where(F.col("size") > BUCKET), "large")
     blocks = F.ceil(F.col("size") / COMPARED).cast("int")
@@ -323,7 +326,7 @@ def _whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = [r for r, s in enumerate(found) if len(s) and set_name(s) == names[r]]
         take = batch.take(pa.array(own, pa.int64()))
         parts = pa.array([found[r].astype("<u8").tobytes() for r in own], pa.binary())
-        yield pa.RecordBatch.from_arrays([take.column("component"), take.column("name"), take.column("copies"), parts], schema=WHOLE)
+        yield pa.RecordBatch.from_arrays([*(take.column(c) for c in ("component", "parts", "name", "copies")), parts], schema=WHOLE)
 
 
 def shared_counts(sets: list[np.ndarray], columns: int = 2048) -> np.ndarray:
@@ -416,13 +419,14 @@ def members(docs: DataFrame, similarity: tuple[int, int] = (4, 5), recall: float
     loose = components(candidates(distinct, share, recall))
     held = loose.join(distinct.select(F.col("name").alias("id"), "example", "text_key", "copies", "n"), "id")
     held = shared.written(held.select(F.col("id").alias("name"), "component", "example", "text_key", "copies", "n"), "held")
-    weights = held.groupBy("component").agg(F.sum("n").alias("weight"), F.count("*").alias("size"))
+    weights = shared.written(held.groupBy("component").agg(F.sum("n").alias("weight"), F.count("*").alias("size")), "weights")
     parts = F.greatest(F.ceil(F.col("weight") / BLOCK_SHINGLES), F.ceil(F.col("size") / BLOCK_SETS)).cast("int")
     # One text for each set: rows that share id and text meet in one.
-    wanted = held.select("example", F.col("text_key").alias("__key"), "component", "name", "copies")
+    dealing = weights.select("component", parts.alias("parts"))
+    wanted = hot.join(held, dealing, "component", hot.hot_keys(weights, "component", "size", held.count()))
+    wanted = wanted.select("example", F.col("text_key").alias("__key"), "component", "parts", "name", "copies")
     texts = _likely(keyed(docs), held, "text_key").join(wanted, (F.col("text_key") == F.col("__key")) & F.col("doc_id").eqNullSafe(F.col("example")))
-    texts = texts.select("component", "name", "copies", "text")
-    whole = texts.mapInArrow(_whole, spark_schema(WHOLE)).join(weights.select("component", parts.alias("parts")), "component")
+    whole = texts.select("component", "parts", "name", "copies", "text").mapInArrow(_whole, spark_schema(WHOLE))
     side = F.pmod(F.xxhash64("name", F.lit(3)), F.col("parts")).cast("int")
     placed = whole.withColumn("side", side).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
     placed = placed.select("component", "name", "copies", "shingles", "side", F.least("side", "other").alias("low"), F.greatest("side", "other").alias("high"))
@@ -432,10 +436,12 @@ def members(docs: DataFrame, similarity: tuple[int, int] = (4, 5), recall: float
     links = linked.groupBy("name").agg(F.sum("links").alias("links"))
     named = distinct.select("name", "first", "copies").join(tight.withColumnRenamed("id", "name"), "name", "left").join(links, "name", "left")
     named = named.withColumn("component", F.coalesce("component", "name"))
-    heads = named.groupBy("component").agg(F.min("first").alias("class_id"))
-    named = named.join(heads, "component").select("name", "component", "class_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
+    named = shared.written(named, "gathered")
+    heads = shared.written(named.groupBy("component").agg(F.min("first").alias("class_id"), F.count("*").alias("size")), "class-heads")
+    named = hot.join(named, heads, "component", hot.hot_keys(heads, "component", "size", named.count()))
+    named = named.select("name", "component", "class_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
     named = shared.written(named, "named")
-    out = sets.select("doc_id", "text_key", "name").join(named, "name", "left")
+    out = hot.join(sets.select("doc_id", "text_key", "name"), named, "name", hot.hot_keys(distinct, "name", "copies", sets.count()), "left")
     class_id = F.when(F.col("component").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id")
     return out.select("doc_id", "text_key", "component", class_id, F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
 

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from sparsepairs.llm import (
     decision_list,
+    hot,
     knn_join,
     license_scan,
     near_duplicates,
@@ -464,7 +465,24 @@ def brute_classes(rows):
     return {rows[i][0]: (rows[find(i)][0], links[i]) for i in range(len(rows))}
 
 
-def test_near_duplicates_are_brute_force(spark, docs):
+@pytest.mark.parametrize("how", ["inner", "left", "left_semi", "left_anti"])
+def test_hot_join_is_the_plain_join(spark, monkeypatch, how):
+    """Hot, rare and null keys, and keys of one side only, meet as in a plain join."""
+    monkeypatch.setattr(hot, "SHARE", 4)
+    rows = spark.createDataFrame([(None if i % 11 == 0 else 1 if i % 2 else 2 if i % 3 else i, i) for i in range(200)], "k long, x long")
+    keyed = spark.createDataFrame([(k, f"v{k}") for k in (1, 6, 12, 999)] + [(None, "null")], "k long, v string")
+    sizes = rows.groupBy("k").agg(F.count("*").alias("n"))
+    often = hot.hot_keys(sizes.where("k is not null"), "k", "n", rows.count())
+    assert [r["k"] for r in often.collect()] == [1]
+    got = hot.join(rows, keyed, "k", often, how)
+    plain = rows.join(keyed, "k", how)
+    assert got.columns == plain.columns
+    assert Counter(map(tuple, got.collect())) == Counter(map(tuple, plain.collect()))
+
+
+@pytest.mark.parametrize("share", [hot.SHARE, 30])
+def test_near_duplicates_are_brute_force(spark, docs, monkeypatch, share):
+    monkeypatch.setattr(hot, "SHARE", share)
     r = np.random.default_rng(3)
     rows = [(int(i), t) for i, t in zip(docs.doc_id, docs.text, strict=True)]
     base = [f"w{r.integers(10**6)}" for _ in range(120)]
