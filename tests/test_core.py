@@ -368,3 +368,13 @@ def test_running_estimate_survives_a_restart(spark, sf, tmp_path):
     two.add(parts[2], 2)
     z = baselines.exact_size(self_rel(rows, "keep", "on")).first()["z"]
     assert RunningEstimate(spark, path, spec, 1.0).result().first()["z_hat"] == two.result().first()["z_hat"] == z
+
+
+def test_broadcast_is_for_small_right_sides(spark, monkeypatch):
+    """A right side above the limit is not gathered in the driver; the size stays exact."""
+    rel = make(spark, [(i, i % 4) for i in range(20)], [(i % 4, i) for i in range(20)])
+    plan = lambda: baselines.join_project(rel, "broadcast")._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan()
+    monkeypatch.setattr(baselines, "BROADCAST_ROWS", 10)
+    assert "Broadcast" not in plan() and "ShuffledHashJoin" in plan()
+    assert baselines.exact_size(rel, "broadcast").first()["z"] == 100
