@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
-from ..functions.hashing import MD5_60
-from ..operators.estimate import Spec, finish, hits, k_smallest, walk_group
+from ..functions.hashing import FAMILIES, MD5_60
+from ..operators.estimate import Spec, finish, k_smallest, kept_set, walk_group
 from ..operators.relations import Rel
 from ..operators.sampling import sample_side
 from ..sources.sketches import scratch
@@ -96,11 +98,17 @@ class RunningEstimate:
         rows.select(F.col("keep").alias("lk"), F.col("on").alias("jk")).distinct().write.mode("overwrite").parquet(f"{self.path}/rows/{batch}")
         new = self.spark.read.parquet(f"{self.path}/rows/{batch}")
         mirror = lambda df: df.select("jk", F.col("lk").alias("rk"))
-        found = hits(Rel(new, mirror(new)), self.spec, self.p)
-        if self.numbers:
+        # Each task of the scan gives k pairs at most, and only those below the stored k-th are looked at.
+        spec, p = replace(self.spec, strategy="sweep", tighten="local"), self.p
+        if not self.numbers:
+            found = kept_set(Rel(new, mirror(new)), spec, p)
+        else:
             old = self.spark.read.parquet(*[f"{self.path}/rows/{n}" for n in self.numbers])
             kept = self.spark.read.parquet(f"{self.path}/kept/{self.version}")
-            found = found.unionByName(hits(Rel(new, mirror(old)), self.spec, self.p)).unionByName(hits(Rel(old, mirror(new)), self.spec, self.p)).unionByName(kept)
+            last = kept.agg(F.count("*").alias("n"), F.max("pair_h").alias("h")).first()
+            if last["n"] >= spec.k:
+                p = min(p, (last["h"] + 1) / FAMILIES[spec.family].domain * (1 + 1e-12))
+            found = kept_set(Rel(new, mirror(old.unionByName(new))), spec, p).unionByName(kept_set(Rel(old, mirror(new)), spec, p)).unionByName(kept)
         k_smallest(found, self.spec.k).write.mode("overwrite").parquet(f"{self.path}/kept/{batch}")
         self.numbers.append(batch)
 
