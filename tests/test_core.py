@@ -378,3 +378,51 @@ def test_broadcast_is_for_small_right_sides(spark, monkeypatch):
     monkeypatch.setattr(baselines, "BROADCAST_ROWS", 10)
     assert "Broadcast" not in plan() and "ShuffledHashJoin" in plan()
     assert baselines.exact_size(rel, "broadcast").first()["z"] == 100
+
+
+def rows_out_of(df, node):
+    """Rows that the plan's nodes of one kind gave in a finished run."""
+    df.collect()
+    plan = df._jdf.queryExecution().executedPlan()
+    plan = plan.finalPhysicalPlan() if "AdaptiveSparkPlan" in plan.nodeName() else plan
+    found, todo = [], [plan]
+    while todo:
+        at = todo.pop()
+        if node in at.nodeName() and at.metrics().contains("numOutputRows"):
+            found.append(at.metrics().apply("numOutputRows").value())
+        if at.nodeName() in ("ShuffleQueryStage", "BroadcastQueryStage"):
+            at = at.plan()
+            todo.append(at)
+        todo.extend(at.children().apply(i) for i in range(at.children().size()))
+    return found
+
+
+def test_sampled_sketch_lists_no_joined_rows(spark, sf):
+    """s_bottomk_10: the scan gives at most k pairs of each task, and no join lists the sample's pairs."""
+    plan = methods._sample_bottomk(0.1)(spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "Join Inner" not in plan and "JoinExec Inner" not in plan
+
+
+def test_range_join_meets_counted_days(spark, sf):
+    """join_range_whole: an order meets a row of each of two days, not the lines of two days."""
+    import __spark_entry__ as entry
+
+    df = entry.queries()["join_range_whole"](spark, sf)
+    orders = spark.read.parquet(f"{sf}/orders.parquet").count()
+    joined = rows_out_of(df, "Join")
+    assert joined and max(joined) <= 2 * orders < sum(r["n"] for r in df.collect())
+
+
+def test_running_estimate_lists_k_pairs_of_a_task(spark, tmp_path, monkeypatch):
+    """st_estimate: batches go through the scan that keeps k pairs, and start below the stored k-th."""
+    from sparsepairs.streaming import streams
+
+    seen = []
+    monkeypatch.setattr(streams, "kept_set", lambda rel, spec, p: seen.append((spec.strategy, spec.tighten, p)) or kept_set(rel, spec, p))
+    one = streams.RunningEstimate(spark, f"file://{tmp_path}/running", Spec(k=16, family="md5_60", tighten="none"), 1.0)
+    rows = spark.createDataFrame([(i % 40, i % 3) for i in range(400)], "keep long, on long")
+    one.add(rows.where("keep < 20"), 0)
+    one.add(rows.where("keep >= 20"), 1)
+    assert {x[:2] for x in seen} == {("sweep", "local")} and seen[0][2] == 1.0 and max(x[2] for x in seen[1:]) < 0.2
+    want = kept_set(self_rel(rows, "keep", "on"), Spec(k=16, family="md5_60", policy="one"), 1.0).agg(F.max("pair_h")).first()[0]
+    assert one.result().first()["kth_hash"] == want
