@@ -426,3 +426,30 @@ def test_running_estimate_lists_k_pairs_of_a_task(spark, tmp_path, monkeypatch):
     assert {x[:2] for x in seen} == {("sweep", "local")} and seen[0][2] == 1.0 and max(x[2] for x in seen[1:]) < 0.2
     want = kept_set(self_rel(rows, "keep", "on"), Spec(k=16, family="md5_60", policy="one"), 1.0).agg(F.max("pair_h")).first()[0]
     assert one.result().first()["kth_hash"] == want
+
+
+@given(st.lists(st.tuples(st.integers(0, 4), st.booleans(), st.integers(0, 15)), min_size=1, max_size=60), st.integers(1, 16))
+@settings(max_examples=100, deadline=None)
+def test_groups_are_walked_together(rows, t):
+    """m_hits_grouped: many groups in one call give what they give one by one, whatever batches they come in."""
+    from unittest.mock import patch
+
+    from sparsepairs.operators import estimate
+
+    rows = sorted((j, 0, int(side), h) for j, side, h in rows)
+    batches = [pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*rows[i : i + 7], strict=True)], names=["jk", "cell", "side", "h"]) for i in range(0, len(rows), 7)]
+    with patch.object(estimate, "GROUP_ROWS", 10):
+        got = [(x, y) for b in estimate._grouped(t, 16, None)(iter(batches)) for x, y in zip(*(c.to_pylist() for c in b.columns), strict=True)]
+    want = []
+    for j in range(5):
+        sides = [np.array([h for k, _, s, h in rows if k == j and s == side], np.int64) for side in (0, 1)]
+        x, y, *_ = walk_group(*sides, t, 16)
+        want += zip(x.tolist(), y.tolist(), strict=True)
+    assert sorted(got) == sorted(want)
+
+
+def test_grouped_makes_no_call_a_group(spark, sf):
+    """m_hits_grouped: join values are not cogrouped one by one."""
+    rel = WORKLOADS["part_part_order"].build(spark, sf)
+    plan = hits(rel, Spec(k=64, family="md5_60", strategy="grouped"), 0.01)._jdf.queryExecution().executedPlan().toString()
+    assert "CoGroups" not in plan and "MapInArrow" in plan
