@@ -453,3 +453,23 @@ def test_grouped_makes_no_call_a_group(spark, sf):
     rel = WORKLOADS["part_part_order"].build(spark, sf)
     plan = hits(rel, Spec(k=64, family="md5_60", strategy="grouped"), 0.01)._jdf.queryExecution().executedPlan().toString()
     assert "CoGroups" not in plan and "MapInArrow" in plan
+
+
+@pytest.mark.parametrize(
+    "key",
+    ["b_catalyst", "c_overshoot", "c_undershoot", "c_unfilled", "c_regime", "c_runs_for", "c_rounds_for", "join_null_safe", "scan_blocks", "m_threshold_fixed", "m_threshold_inverse_k"],
+)
+def test_tasks_read_a_table(spark, sf, key):
+    import __spark_entry__ as entry
+
+    got = measures.io_profile(spark, lambda: entry.queries()[key](spark, sf).collect())
+    assert got["input"] > 1000
+
+
+def test_generated_blocks_have_their_size(spark):
+    from sparsepairs.sources import readers
+
+    spark.dataSource.register(readers.BlockSource)
+    rows = spark.read.format("sparse_blocks").options(blocks=6, left=20, right=15, overlap=5).load()
+    r = Rel(rows.where("side = 'left'").select(F.col("value").alias("lk"), "jk"), rows.where("side = 'right'").select("jk", F.col("value").alias("rk")))
+    assert baselines.exact_size(r).first()["z"] == (6 * 20 - 5 * 5) * 15
