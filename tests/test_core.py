@@ -473,3 +473,40 @@ def test_generated_blocks_have_their_size(spark):
     rows = spark.read.format("sparse_blocks").options(blocks=6, left=20, right=15, overlap=5).load()
     r = Rel(rows.where("side = 'left'").select(F.col("value").alias("lk"), "jk"), rows.where("side = 'right'").select("jk", F.col("value").alias("rk")))
     assert baselines.exact_size(r).first()["z"] == (6 * 20 - 5 * 5) * 15
+
+
+@pytest.mark.parametrize("few", [0, 256])
+def test_min_ranks_travel_as_edges(spark, monkeypatch, few):
+    """b_min_rank_parts, b_min_rank_chain: no row for each round is shuffled; nulls, strings and full stores change nothing."""
+    monkeypatch.setattr(baselines, "FEW_FIRSTS", few)
+    a = spark.createDataFrame([(i % 5 if i % 11 else None, i % 13) for i in range(60)], "a long, b long").distinct()
+    b = spark.createDataFrame([(i % 13, i % 17 if i % 7 else None) for i in range(90)], "a long, b long").distinct()
+    c = spark.createDataFrame([(i % 17, f"e{i % 29}" if i % 9 else None) for i in range(120)], "a long, b string").distinct()
+    for chain in ([a, b], [a, b, c], [c]):
+        got = {r["first"]: r["size"] for r in baselines.min_rank_sizes(chain, 8).collect()}
+        reach = {(r["a"], r["b"]) for r in baselines._reached(chain).where("b is not null").collect()}
+        want = {x: 7 / sum(min(float(baselines._ranks_of([e], 8)[0, i]) for y, e in reach if y == x) for i in range(8)) for x in {x for x, _ in reach}}
+        assert got.keys() == want.keys() and all(isclose(got[x], want[x], rel_tol=1e-12) for x in got)
+    assert "round" not in baselines.min_rank_sizes([a, b], 8)._jdf.queryExecution().optimizedPlan().toString()
+    e = spark.createDataFrame([("x",), ("7",)], "e string").select(*[baselines.exponential_rank(F.col("e"), F.lit(i)).alias(str(i)) for i in range(1, 9)])
+    assert np.allclose(np.array(e.collect()), baselines._ranks_of(["x", "7"], 8), rtol=1e-14)
+
+
+def test_min_rank_stores_overflow():
+    """Full stores of vectors are emptied and go on."""
+    from unittest.mock import patch
+
+    rows = [(k, 0, f"e{(k * 7 + j) % 30}", None) for k in range(40) for j in range(3)] + [(k, 1, None, (k * 3 + j) % 20) for k in range(40) for j in range(2)]
+    rows.sort(key=lambda r: r[:2])
+    parts = [pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows[i : i + 9], strict=True), (pa.int64(), pa.int32(), pa.string(), pa.int64()), strict=True)], names=["key", "side", "end", "first"]) for i in range(0, len(rows), 9)]
+
+    def lows():
+        out = {}
+        for b in baselines._min_ranks(4, pa.int64())(iter(parts)):
+            for x, v in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                out[x] = np.minimum(out.get(x, np.inf), v).tolist()
+        return out
+
+    whole = lows()
+    with patch.object(baselines, "VECTORS", 12):
+        assert lows() == whole and len(whole) == 20
