@@ -7,6 +7,8 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..sources.sketches import released
+
 
 def folder(spark: SparkSession) -> str:
     """``spark.checkpoint.dir`` of the session; where it is unset, a temporary folder on a local master and an error elsewhere."""
@@ -29,9 +31,12 @@ def fresh(spark: SparkSession, name: str) -> str:
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
-    """``df`` written as Parquet and read again: a lineage that survives lost executors."""
+    """``df`` written as Parquet and read again: a lineage that survives lost executors, and shuffle files that go with the write."""
     path = fresh(df.sparkSession, name)
-    df.write.parquet(path)
+    with released(df.sparkSession):
+        df.write.parquet(path)
+    # Plans and results of the steps before fill the driver's heap, which only a collection gives back.
+    df.sparkSession._jvm.System.gc()
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
