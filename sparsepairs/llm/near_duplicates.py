@@ -231,7 +231,7 @@ def _compare(similarity: float, recall: float = RECALL):
         for group in grouped(batches, ["node", "low", "high"]):
             names = group.column("name").to_numpy()
             side = group.column("side").to_numpy()
-            s = np.frombuffer(b"".join(group.column("bytes").to_pylist()), np.uint8).reshape(len(names), COORDINATES)
+            s = unpacked(b"".join(group.column("bytes").to_pylist()))
             cross = group.column("low")[0] != group.column("high")[0]
             left = np.flatnonzero(side == group.column("low")[0].as_py()) if cross else np.arange(len(names))
             right = np.flatnonzero(side != group.column("low")[0].as_py()) if cross else left
@@ -296,11 +296,13 @@ def candidates(sets: DataFrame, similarity: float = SIMILARITY, recall: float =
         member = moving.join(_sized(moving, ["node"]), "node").select("node", "name", "size")
         done = done.unionByName(member.where(F.col("size") <= BUCKET))
         large = shared.written(member.where(F.col("size") > BUCKET), "large")
+    # The buckets are stored before they are dealt, so that only one of both lies on disk as shuffles.
+    done = shared.written(done, "done")
     blocks = F.ceil(F.col("size") / COMPARED).cast("int")
     placed = done.select("node", "name", F.pmod(F.xxhash64("name", F.lit(2)), blocks).cast("int").alias("side"), F.explode(F.sequence(F.lit(0), blocks - 1)).alias("other"))
     placed = placed.select("node", "name", "side", F.least("side", "other").alias("low"), F.greatest("side", "other").alias("high"))
-    # One byte of each coordinate is enough to compare samples.
-    thin = samples.mapInArrow(_low_bytes, spark_schema(BYTES))
+    # Two bits of each coordinate: equal ones stay equal, and a quarter of the others agree by chance.
+    thin = samples.mapInArrow(_low_bits, spark_schema(BYTES))
     joined = placed.join(thin, "name")
     dealt = joined.repartition("node", "low", "high").sortWithinPartitions("node", "low", "high", "name")
     return dealt.mapInArrow(_compare(similarity, recall), spark_schema(EDGES))
@@ -309,10 +311,22 @@ def candidates(sets: DataFrame, similarity: float = SIMILARITY, recall: float =
 BYTES = fields(name=pa.int64(), bytes=pa.binary())
 
 
-def _low_bytes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def packed(sample: np.ndarray) -> np.ndarray:
+    """The two low bits of each coordinate, four to a byte."""
+    low = (sample & 3).astype(np.uint8).reshape(len(sample), -1, 4)
+    return low[:, :, 0] | low[:, :, 1] << 2 | low[:, :, 2] << 4 | low[:, :, 3] << 6
+
+
+def unpacked(raw: bytes) -> np.ndarray:
+    """Rows of coordinates from their packed bits."""
+    both = np.frombuffer(raw, np.uint8).reshape(-1, COORDINATES // 4)
+    return np.stack([both >> shift & 3 for shift in (0, 2, 4, 6)], 2).reshape(-1, COORDINATES)
+
+
+def _low_bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        thin = [np.frombuffer(x, "<u4").astype(np.uint8).tobytes() for x in batch.column("sample").to_pylist()]
-        yield pa.RecordBatch.from_arrays([batch.column("name"), pa.array(thin, pa.binary())], schema=BYTES)
+        sample = np.frombuffer(b"".join(batch.column("sample").to_pylist()), "<u4").reshape(-1, COORDINATES)
+        yield pa.RecordBatch.from_arrays([batch.column("name"), pa.array([x.tobytes() for x in packed(sample)], pa.binary())], schema=BYTES)
 
 
 def _whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -381,18 +395,27 @@ def _exact(numerator: int, denominator: int):
     return run
 
 
-def _likely(rows: DataFrame, held: DataFrame, key: str) -> DataFrame:
-    """Rows whose key's bit is set in a bitmap of the held keys: most others needn't be shuffled.
+def _marked(rows: DataFrame, held: DataFrame, key: str, held_key: str) -> DataFrame:
+    """Rows with ``__held``: whether their key's bit is set in a bitmap of the held keys, as all held keys' bits are.
 
-    The bitmap has ``FILTER_WORDS`` words whatever the data's size; a full one
-    lets all rows pass, and the join that follows decides.
+    The bitmap has ``FILTER_WORDS`` words whatever the data's size; in a full one all bits are set.
     """
-    at = F.pmod(F.xxhash64(F.lit("filter"), F.col(key)), F.lit(FILTER_WORDS * 32))
-    word = F.shiftright(at, 5)
-    bit = F.pow(F.lit(2.0), F.pmod(at, F.lit(32))).cast("long")
-    bitmap = held.groupBy(word.alias("__word")).agg(F.bit_or(bit).alias("__bits"))
-    out = rows.withColumn("__word", word).withColumn("__bit", bit).join(F.broadcast(bitmap), "__word")
-    return out.where(F.col("__bits").bitwiseAND(F.col("__bit")) != 0).select(*rows.columns)
+    at = lambda c: F.pmod(F.xxhash64(F.lit("filter"), F.col(c)), F.lit(FILTER_WORDS * 32))
+    word, bit = (lambda c: F.shiftright(at(c), 5)), (lambda c: F.pow(F.lit(2.0), F.pmod(at(c), F.lit(32))).cast("long"))
+    bitmap = held.groupBy(word(held_key).alias("__word")).agg(F.bit_or(bit(held_key)).alias("__bits"))
+    out = rows.withColumn("__word", word(key)).withColumn("__bit", bit(key)).join(F.broadcast(bitmap), "__word", "left")
+    return out.select(*rows.columns, (F.coalesce("__bits", F.lit(0)).bitwiseAND(F.col("__bit")) != 0).alias("__held"))
+
+
+def _likely(rows: DataFrame, held: DataFrame, key: str) -> DataFrame:
+    """Rows whose key's bit is set: most others needn't be shuffled, and the join that follows decides."""
+    return _marked(rows, held, key, key).where("__held").drop("__held")
+
+
+def _parted(rows: DataFrame, held: DataFrame, key: str, held_key: str) -> tuple[DataFrame, DataFrame]:
+    """Rows whose key is surely not held, and the others."""
+    marked = _marked(rows, held, key, held_key)
+    return marked.where("not __held").drop("__held"), marked.where("__held").drop("__held")
 
 
 def keyed(docs: DataFrame) -> DataFrame:
@@ -455,6 +478,9 @@ def without_copies(docs: DataFrame, similarity: tuple[int, int] = (4, 5), recall
     heads = shared.written(found.groupBy("component").agg(F.min(mine).alias("head")).select(F.col("head.doc_id").alias("__id"), F.col("head.text_key").alias("__key")), "heads")
     gone = found.select(F.col("doc_id").alias("__id"), F.col("text_key").alias("__key")).distinct()
     gone = shared.written(gone.join(heads.withColumnsRenamed({"__id": "__i", "__key": "__k"}), F.col("__id").eqNullSafe(F.col("__i")) & (F.col("__key") == F.col("__k")), "left_anti"), "gone")
-    key = F.xxhash64("text")
-    kept = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("__id")) & (key == F.col("__key")), "left_anti")
-    return kept.dropDuplicates(["doc_id", "text"])
+    keyed_docs = docs.withColumn("__text", F.xxhash64("text"))
+    again = keyed_docs.groupBy("doc_id", "__text").count().where("count > 1").select(F.col("__text").alias("__key"))
+    # Texts that are neither dropped nor repeated stay where they are; only the others are dealt.
+    clear, suspect = _parted(keyed_docs, gone.select("__key").unionByName(again), "__text", "__key")
+    kept = suspect.join(gone, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__text") == F.col("__key")), "left_anti")
+    return clear.select(*docs.columns).unionByName(kept.select(*docs.columns).dropDuplicates(["doc_id", "text"]))

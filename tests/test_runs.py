@@ -68,3 +68,28 @@ def test_a_value_of_lone_join_values_pairs_with_itself(spark):
     left = spark.createDataFrame([(1, "a"), (2, "a"), (3, "b"), (None, "c")], "lk long, jk string")
     r = exact.Rel(left, left.select("jk", F.col("lk").alias("rk")), True, True)
     assert exact.by_bits(r, 4).first()["kept"] == baselines.exact_size(r).first()["z"] == 6
+
+
+def test_clear_texts_are_not_dealt(spark, sf):
+    from sparsepairs.llm import near_duplicates
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    docs = docs.unionByName(docs.where("doc_id % 7 = 0")).unionByName(docs.where("doc_id = 3").withColumn("text", F.lit(None).cast("string")))
+    docs = docs.unionByName(docs.where("text is null"))
+    found = near_duplicates.members(docs).where("component is not null").toPandas()
+    found["none"] = found.doc_id.isna()
+    heads = found.sort_values(["none", "doc_id", "text_key"]).drop_duplicates("component")
+    heads, gone = set(zip(heads.doc_id, heads.text_key)), set(zip(found.doc_id, found.text_key))
+    rows = {(r["doc_id"], r["text"], r["k"]) for r in docs.select("doc_id", "text", F.xxhash64("text").alias("k")).collect()}
+    want = sorted((a, b or "") for a, b, k in rows if (a, k) in heads or (a, k) not in gone)
+    out = near_duplicates.without_copies(docs)
+    assert sorted((r["doc_id"], r["text"] or "") for r in out.collect()) == want
+    # Before, every row's text was dealt twice; now the rows that are surely kept stay in a branch without an exchange.
+    assert "Union" in out._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_two_bits_keep_agreements():
+    from sparsepairs.llm import near_duplicates
+
+    sample = np.random.default_rng(1).integers(0, 2**32, (5, near_duplicates.COORDINATES), dtype=np.uint32)
+    assert (near_duplicates.unpacked(near_duplicates.packed(sample).tobytes()) == (sample & 3)).all()
