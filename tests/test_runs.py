@@ -64,6 +64,38 @@ def test_bits_count_what_the_join_counts(spark, sf, name, monkeypatch):
     assert exact.by_bits(r, n_c).first()["kept"] == want[0]
 
 
+@pytest.mark.parametrize("name", ["cust_cust_part", "supp_cust_order", "cust_type", "doc_doc_word"])
+def test_lists_count_what_the_join_counts(spark, sf, name, monkeypatch):
+    r = methods.rel(spark, sf, name)
+    monkeypatch.setattr(exact, "BLOCK_TUPLES", max(1, r.right.count() // 2))  # several passes
+    assert exact.by_lists(r).first()["z"] == baselines.exact_size(r).first()["z"]
+
+
+def test_a_left_value_is_listed_in_turns(monkeypatch):
+    rng = np.random.default_rng(5)
+    left, right = (np.unique(rng.integers(0, 40, (400, 2)), axis=0).astype(np.uint64) for _ in range(2))
+    want = {(a, c) for a, j in left.tolist() for i, c in right.tolist() if i == j}
+    lists = exact.Lists((right[:, 0] << np.uint64(32)) | right[:, 1])
+    for listed in (exact.LISTED, 300, 10, 1):
+        monkeypatch.setattr(exact, "LISTED", listed)
+        assert lists.count(left[:, 0].astype(np.uint32), left[:, 1].astype(np.uint32)) == len(want)
+
+
+def test_lists_take_nulls_and_large_values(spark):
+    left = spark.createDataFrame([(1, -5), (None, -5), (2**40, 2**50), (None, 2**50), (7, 1)], "lk long, jk long")
+    right = spark.createDataFrame([(-5, None), (-5, "x"), (2**50, None), (2, "y")], "jk long, rk string")
+    assert exact.by_lists(exact.Rel(left, right, True)).first()["z"] == 5
+
+
+def test_many_sparse_joined_rows_are_not_shuffled(spark, sf, monkeypatch):
+    # Before, they went through a join and a shuffled distinct.
+    monkeypatch.setattr(exact, "FEW_JOINED", 0)
+    monkeypatch.setattr(exact, "WORTH", 0)
+    monkeypatch.setattr(baselines, "exact_size", None)
+    r = methods.rel(spark, sf, "cust_cust_part")
+    assert exact.size(r).first()["z"] == r.left.join(r.right, "jk").select("lk", "rk").distinct().count()
+
+
 def test_a_value_of_lone_join_values_pairs_with_itself(spark):
     left = spark.createDataFrame([(1, "a"), (2, "a"), (3, "b"), (None, "c")], "lk long, jk string")
     r = exact.Rel(left, left.select("jk", F.col("lk").alias("rk")), True, True)
