@@ -34,6 +34,15 @@ def test_tuples_travel_once(spark, sf):
     assert "Generate" not in plan and "MapInArrow" in plan
 
 
+@pytest.mark.parametrize("name", ["x_failure_split", "x_study_supp_cust_order"])
+def test_studies_deal_no_tuple_for_each_run(spark, sf, monkeypatch, name):
+    # Before, every joined row went through a shuffle once a run.
+    dealt, own = [], runs.kept_of_runs
+    monkeypatch.setattr(runs, "kept_of_runs", lambda *a: dealt.append(own(*a)) or dealt[-1])
+    __import__("__spark_entry__").queries()[name](spark, sf).collect()
+    assert dealt and all("Join" not in (plan := d._jdf.queryExecution().optimizedPlan().toString()) and "Generate" not in plan for d in dealt)
+
+
 def test_sample_sketches_equal_joined_samples(spark, sf):
     r = methods.rel(spark, sf, "doc_doc_word")
     z = baselines.exact_size(r).first()["z"]
