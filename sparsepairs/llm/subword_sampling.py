@@ -49,6 +49,8 @@ _ALL = 2**64 - 1
 SLOT_BITS, PAIR_BITS = 18, 22
 #: Text bytes that are sampled together, and places of lattices that a worker holds.
 SLICE, MOST_PLACES = 400_000, 1_600_000
+#: Numbers that an array of lattices has room for at least; pages that aren't filled take no memory.
+LEAST_ROOM = 1 << 20
 
 SAMPLED = fields(
     doc_id=pa.int64(), rank=pa.int32(), ids=pa.list_(pa.int32()), n_pieces=pa.int64(), ids_crc32=pa.int64(),
@@ -65,12 +67,20 @@ def _pair(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return ((a.astype(np.uint32) * np.uint32(0x9E3779B1) + b.astype(np.uint32)) * np.uint32(0x85EBCA77)) >> np.uint32(32 - PAIR_BITS)
 
 
+_A, _B = int(_MIX_A), int(_MIX_B)
+
+
+def one_mix(x: int) -> int:
+    """``mix`` of a single number."""
+    x &= _ALL
+    x = ((x ^ (x >> 32)) * _B) & _ALL
+    x = ((x ^ (x >> 29)) * _A) & _ALL
+    return x ^ (x >> 32)
+
+
 def one_uniform(x: int) -> float:
     """``uniform`` of a single number."""
-    x &= _ALL
-    x = ((x ^ (x >> 32)) * int(_MIX_B)) & _ALL
-    x = ((x ^ (x >> 29)) * int(_MIX_A)) & _ALL
-    return (((x ^ (x >> 32)) >> 12) + 0.5) / 2.0**52
+    return ((one_mix(x) >> 12) + 0.5) / 2.0**52
 
 
 class Vocabulary:
@@ -111,9 +121,7 @@ class Vocabulary:
             letters = np.array(list(map(ord, self.pieces[i])))
             self.joined[_pair(letters[:-1], letters[1:])] = True
         raw = [bytes([int(p[1:-1], 16)]) if model.is_byte(i) else p.replace(chr(MARK), " ").encode() for i, p in enumerate(self.pieces)]
-        self.letters = np.frombuffer(b"".join(raw), np.uint8)
-        self.sizes = np.array([len(x) for x in raw])
-        self.starts = np.cumsum(self.sizes) - self.sizes
+        self.raw = raw
         self.lattices: Lattices | None = None
 
     def _hold(self, keys: np.ndarray, children: np.ndarray) -> None:
@@ -146,9 +154,7 @@ class Vocabulary:
 
     def spelt(self, ids: np.ndarray) -> bytes:
         """The bytes of piece ids, a space for each mark."""
-        sizes = self.sizes[ids]
-        stops = np.cumsum(sizes)
-        return self.letters[np.repeat(self.starts[ids] - stops + sizes, sizes) + np.arange(stops[-1] if len(stops) else 0)].tobytes()
+        return b"".join(map(self.raw.__getitem__, ids.tolist()))
 
     def decode(self, ids) -> str:
         """The text of piece ids; the leading space mark is dropped and marks become spaces."""
@@ -315,7 +321,7 @@ def _room(held: np.ndarray, need: int) -> np.ndarray:
     """``held``, in a longer array where it is too short; what is behind its used part has no meaning."""
     if need <= len(held):
         return held
-    out = np.zeros(max(need, len(held) + len(held) // 2), held.dtype)
+    out = np.zeros(max(need, LEAST_ROOM, 2 * len(held)), held.dtype)
     out[: len(held)] = held
     return out
 
@@ -383,10 +389,18 @@ class Path:
     difference never comes before them: such sets get no variate.
     """
 
-    def __init__(self, edges: np.ndarray, lattices: Lattices, key: float, branch: int, seed: np.uint64, k: int):
+    def __init__(self, edges: np.ndarray, lattices: Lattices, key: float, branch: int, seed: np.uint64, k: int, parent: Path | None = None):
         self.edges, self.key, self.limit, self.seed = edges, key, key, seed
         self.before = np.zeros(len(edges) + 1)
-        np.cumsum(lattices.log_p[edges], out=self.before[1:])
+        # A path has its parent's edges before the one at which it branches off; sums go on from there.
+        same = branch - 1 if parent else 0
+        if same:
+            self.before[:same] = parent.before[:same]
+            self.before[same + 1 :] = lattices.log_p[edges[same:]]
+            self.before[same] = parent.before[same]
+            np.cumsum(self.before[same:], out=self.before[same:])
+        else:
+            np.cumsum(lattices.log_p[edges], out=self.before[1:])
         self.banned: dict[int, list[int]] = {}
         # No set's share is above that of its prefix, and shares of prefixes fall: far ones need no look.
         past, first = len(edges), edges[branch : branch + NEAR]
@@ -425,7 +439,7 @@ class Path:
         start = lattices.first[edge]
         left = lattices.edges_of[start + 1] - lattices.edges_of[start]
         rest = -math.inf if left == len(out) or gone >= 1 - 1e-12 else math.log1p(-gone)
-        u = one_uniform(int(self.seed) ^ int(mix(np.array([place * 64 + 2 * len(out) + 1], np.uint64))[0]))
+        u = one_uniform(int(self.seed) ^ one_mix(place * 64 + 2 * len(out) + 1))
         own = float(self.before[place]) + rest - math.log(-math.log(u))
         self.redrawn[place] = truncated(own, limit)
         self.gumbels[self.places == place] = -np.inf
@@ -506,7 +520,7 @@ def sample_batch(texts: list[str], row_keys: np.ndarray, vocab: Vocabulary, k: i
             own = cuts[a:b] - cuts[a] + place + 1
             own[0] = owner[r][i][unit]
             owner[r].append(np.concatenate([owner[r][i][:unit], own]))
-            found[r].append(Path(edges, lattices, limit, place + 1, seeds[r], k))
+            found[r].append(Path(edges, lattices, limit, place + 1, seeds[r], k, parent))
     return [(own, max(p.best()[0] for p in own), lattices) for own in found]
 
 
