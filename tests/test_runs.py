@@ -43,6 +43,18 @@ def test_studies_deal_no_tuple_for_each_run(spark, sf, monkeypatch, name):
     assert dealt and all("Join" not in (plan := d._jdf.queryExecution().optimizedPlan().toString()) and "Generate" not in plan for d in dealt)
 
 
+@pytest.mark.parametrize("name", ["x_study_cust_type", "x_sample_study_vec_vec"])
+def test_dense_studies_shuffle_no_joined_row(spark, sf, monkeypatch, name):
+    # Before, the exact size went through a join and a shuffled distinct, and the runs through a join for each of them.
+    query, dealt, own = __import__("__spark_entry__").queries()[name], [], runs.kept_of_runs
+    want = sorted(map(tuple, query(spark, sf).collect()))
+    monkeypatch.setattr(exact, "FEW_JOINED", 0)
+    monkeypatch.setattr(baselines, "exact_size", None)
+    monkeypatch.setattr(runs, "kept_of_runs", lambda *a: dealt.append(own(*a)) or dealt[-1])
+    assert sorted(map(tuple, query(spark, sf).collect())) == want
+    assert dealt and all("Join" not in (plan := d._jdf.queryExecution().optimizedPlan().toString()) and "Generate" not in plan for d in dealt)
+
+
 def test_sample_sketches_equal_joined_samples(spark, sf):
     r = methods.rel(spark, sf, "doc_doc_word")
     z = baselines.exact_size(r).first()["z"]
