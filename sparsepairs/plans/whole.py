@@ -26,13 +26,33 @@ for how in ("left", "right", "full"):
     over_sql(f"join_{how}_whole", f"select c_custkey, o_orderkey from customer {how} join orders on c_custkey = o_custkey and c_acctbal > 0 and o_orderstatus = 'F'", "customer", "orders")
 
 
+#: Parts of a price on average from which they meet as lists, parts of a list at most, and bits of the row numbers that are listed together.
+REPEATED, LISTED, TOGETHER = 8, 256, 20
+
+
 def join_theta_whole(s: SparkSession, d: str) -> DataFrame:
-    """Prices less than 1 apart have equal or adjacent whole parts: an equi-join, not a product."""
+    """Prices less than 1 apart have equal or adjacent whole parts: an equi-join, not a product.
+
+    Where prices repeat, a price is compared once for a list of its parts, and
+    pairs of lists are dealt evenly before they give their rows.
+    """
     part = table(s, d, "part")
     whole = F.floor("p_retailprice")
-    a = part.select(F.col("p_partkey").alias("a"), F.col("p_retailprice").alias("x"), whole.alias("cell"))
-    b = part.select(F.col("p_partkey").alias("b"), F.col("p_retailprice").alias("y"), F.explode(F.sequence(whole - 1, whole)).alias("cell"))
-    return a.join(b, "cell").where("x < y and x > y - 1").select("a", "b")
+    repeated = part.count() >= REPEATED * part.select("p_retailprice").distinct().count()
+    key = F.col("p_partkey")
+    if repeated:
+        # Lists hold structs, as a null alone would not be listed.
+        block = F.shiftright(F.monotonically_increasing_id(), TOGETHER).alias("block")
+        lists = part.groupBy("p_retailprice", block).agg(F.collect_list(F.struct("p_partkey")).alias("parts"))
+        cuts = F.sequence(F.lit(1), F.size("parts"), F.lit(LISTED))
+        part, key = lists.select("p_retailprice", "parts", F.explode(cuts).alias("at")), F.slice(F.col("parts.p_partkey"), F.col("at"), LISTED)
+    a = part.select(key.alias("a"), F.col("p_retailprice").alias("x"), whole.alias("cell"))
+    b = part.select(key.alias("b"), F.col("p_retailprice").alias("y"), F.explode(F.sequence(whole - 1, whole)).alias("cell"))
+    pairs = a.join(b, "cell").where("x < y and x > y - 1").select("a", "b")
+    if repeated:
+        tasks = max(4 * s.sparkContext.defaultParallelism, int(s.conf.get("spark.sql.shuffle.partitions")))
+        pairs = pairs.repartition(tasks).select(F.explode("a").alias("a"), "b").select("a", F.explode("b").alias("b"))
+    return pairs
 
 
 register("join_theta_whole", join_theta_whole, "select a.p_partkey as a, b.p_partkey as b from part a join part b on a.p_retailprice < b.p_retailprice and a.p_retailprice > b.p_retailprice - 1")
