@@ -123,6 +123,65 @@ def test_a_value_of_lone_join_values_pairs_with_itself(spark):
     assert exact.by_bits(r, 4).first()["kept"] == baselines.exact_size(r).first()["z"] == 6
 
 
+@pytest.mark.parametrize("name", ["doc_doc_word", "vec_vec"])
+def test_ranks_count_what_the_join_counts(spark, sf, name, monkeypatch):
+    want = baselines.exact_size(methods.rel(spark, sf, name)).first()["z"]
+    r = exact.stored_rel(methods.rel(spark, sf, name))
+    n = r.left.select("lk").distinct().count()
+    for values, tuples, first in ((1 << 16, 10**8, 24), (37, 10**8, 2), (1 << 16, 900, 0)):  # one block, several by values, by tuples
+        monkeypatch.setattr(exact, "RANK_VALUES", values)
+        monkeypatch.setattr(exact, "RANK_TUPLES", tuples)
+        monkeypatch.setattr(exact, "FIRST_ROWS", first)
+        assert exact.by_ranks(r, n).first()["z"] == want
+
+
+@pytest.mark.parametrize(("first", "missing", "long"), [(24, 100, 64), (2, 10**9, 8), (0, 0, 8), (3, 100, 20)])
+def test_a_block_counts_what_a_product_counts(monkeypatch, first, missing, long):
+    monkeypatch.setattr(exact, "FIRST_ROWS", first)
+    monkeypatch.setattr(exact, "MISSING", missing)
+    monkeypatch.setattr(exact, "LONG", long)
+    rng = np.random.default_rng(7)
+    held = rng.random((300, 90)) < 0.15 * rng.random(90)
+    keys = pa.array([np.flatnonzero(x).astype(np.uint32).tobytes() for x in held], pa.binary())
+    found = exact.RankBlock([keys.slice(0, 100), keys.slice(100)]).counts(keys.slice(50))
+    assert found.tolist() == ((held.astype(int) @ held.T.astype(int)) > 0).sum(1)[50:].tolist()
+
+
+def test_dense_words_are_counted_by_ranks(spark, sf, monkeypatch):
+    # Before, each document met each block of documents, whole.
+    monkeypatch.setattr(exact, "FEW_JOINED", 0)
+    monkeypatch.setattr(exact, "by_bits", None)
+    monkeypatch.setattr(baselines, "exact_size", None)
+    r = methods.rel(spark, sf, "doc_doc_word")
+    assert exact.size(exact.stored_rel(r)).first()["z"] == r.left.join(r.right, "jk").select("lk", "rk").distinct().count()
+
+
+def test_numbered_words_keep_the_tuples(spark):
+    docs = spark.createDataFrame([(1, "a B  b"), (1, "c a"), (2, ""), (3, None), (None, "b a a"), (4, "\u00e4 c")], "doc_id long, text string")
+    from sparsepairs.plans import workloads
+
+    r = workloads.shared_words(docs, "doc_id")
+    own = exact.stored_rel(r)
+    sets = lambda df: sorted(sorted(map(str, x["v"])) + [str(x["n"])] for x in df.groupBy("jk").agg(F.collect_list(F.coalesce(F.col("lk").cast("string"), F.lit("-"))).alias("v"), F.count("*").alias("n")).collect())
+    assert sets(own.left) == sets(r.left) and own.left.schema["jk"].dataType.typeName() == "long"
+    assert baselines.exact_size(own).first()["z"] == baselines.exact_size(r).first()["z"]
+
+
+def test_listed_pairs_keep_what_the_walk_keeps(spark, sf, monkeypatch):
+    r = exact.stored_rel(methods.rel(spark, sf, "doc_doc_word"))
+    z = baselines.exact_size(r).first()["z"]
+    both = lambda: (sorted(tuple(x) for df in runs.runs_from_one(r, (16, 64), RUNS, z).values() for x in df.collect()), sorted(map(tuple, runs.sample_sketches(r, 0.3, 0.4, RUNS, 32, z).collect())))
+    want = both()
+    # Before, dense relations were walked whole for every run.
+    walked, own = [], runs.kept_of_runs
+    monkeypatch.setattr(runs, "MANY", 16)
+    monkeypatch.setattr(runs, "kept_of_runs", lambda *a: walked.append(a[2]) or own(*a))
+    assert both() == want
+    assert not walked
+    monkeypatch.setattr(runs, "FIRST_PASS", 0.9)  # runs are left unfilled
+    assert both() == want
+
+
 def test_clear_texts_are_not_dealt(spark, sf):
     from sparsepairs.llm import near_duplicates
 
